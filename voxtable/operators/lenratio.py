@@ -33,5 +33,5 @@ def trim(pairs: DataFrame, low: float = LOW, high: float = HIGH, method: str = "
         return ranked.filter(kept).drop("range", "rank", "before", "total")
     quantile = F.percentile_approx("ratio", F.array(F.lit(low), F.lit(1 - high)), 10_000) if method == "sketch" else F.percentile("ratio", F.array(F.lit(low), F.lit(1 - high)))
     cuts = (valid.groupBy(by) if by else valid.groupBy()).agg(quantile.alias("cut"))
-    joined = valid.join(F.broadcast(cuts), by) if by else valid.join(F.broadcast(cuts), F.lit(True))
+    joined = valid.join(cuts, by) if by else valid.join(F.broadcast(cuts), F.lit(True))
     return joined.filter((F.col("ratio") >= F.col("cut")[0]) & (F.col("ratio") <= F.col("cut")[1])).drop("cut")
