@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from voxtable.functions.binding import let
+
 #: Languages scored by character; the others are scored by word.
 BY_CHARACTER = ("zh", "ja", "ko")
 _FIRST = 0x4E00  # some 20,000 code points from here on have no casing and no surrogates
@@ -21,8 +23,8 @@ def _one_point_each(tokens: Column, of: Column) -> Column:
 
 def word_edits(ref: Column, hyp: Column) -> Column:
     """Substitutions, deletions and insertions between word sequences."""
-    known = F.array_distinct(F.concat(words(ref), words(hyp)))
-    return F.levenshtein(_one_point_each(words(ref), known), _one_point_each(words(hyp), known))
+    both = F.struct(words(ref).alias("r"), words(hyp).alias("h"))
+    return let(both, lambda b: let(F.array_distinct(F.concat(b["r"], b["h"])), lambda known: F.levenshtein(_one_point_each(b["r"], known), _one_point_each(b["h"], known))))
 
 
 def char_edits(ref: Column, hyp: Column) -> Column:

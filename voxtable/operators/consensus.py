@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from voxtable.functions.binding import let
 from voxtable.functions.hashing import draw
 from voxtable.functions.units import word_edits, words
 
@@ -18,9 +19,8 @@ STOP_WORDS = {"de": ("der", "die", "und", "das", "ist"), "en": ("the", "and", "o
 def identify_language(rows: DataFrame) -> DataFrame:
     """guess: the language most of whose frequent words occur, ties by code; null where none does."""
     tokens = F.split(F.lower(F.regexp_replace("text", r"[^\p{L}]+", " ")), " ")
-    hits = lambda stop: F.size(F.filter(tokens, lambda w: w.isin(*stop)))
-    votes = F.array(*[F.struct((-hits(stop)).alias("n"), F.lit(lang).alias("lang")) for lang, stop in STOP_WORDS.items()])
-    best = F.array_min(votes)
+    hits = lambda ws, stop: F.size(F.filter(ws, lambda w: w.isin(*stop)))
+    best = let(tokens, lambda ws: F.array_min(F.array(*[F.struct((-hits(ws, stop)).alias("n"), F.lit(lang).alias("lang")) for lang, stop in STOP_WORDS.items()])))
     return rows.withColumn("guess", F.when(best["n"] < 0, best["lang"]))
 
 
@@ -50,7 +50,8 @@ def pairwise(transcripts: DataFrame, direction: str = "first") -> DataFrame:
     packed = transcripts.groupBy("utt_id").agg(F.array_sort(F.collect_list(F.struct("system", "hyp"))).alias("ts"))
     pairs = F.flatten(F.transform("ts", lambda a: F.transform(F.filter(F.col("ts"), lambda b: b["system"] > a["system"]), lambda b: F.struct(a.alias("a"), b.alias("b")))))
     rows = packed.select("utt_id", F.explode(pairs).alias("p")).select("utt_id", F.col("p.a.system").alias("s1"), F.col("p.b.system").alias("s2"), F.col("p.a.hyp").alias("h1"), F.col("p.b.hyp").alias("h2"))
-    n, m, d = F.size(words(F.col("h1"))), F.size(words(F.col("h2"))), word_edits(F.col("h1"), F.col("h2"))
+    rows = rows.select("utt_id", "s1", "s2", F.size(words(F.col("h1"))).alias("n"), F.size(words(F.col("h2"))).alias("m"), word_edits(F.col("h1"), F.col("h2")).alias("d"))
+    n, m, d = F.col("n"), F.col("m"), F.col("d")
     rate = {"first": F.try_divide(d, n), "symmetric": F.try_divide(2 * d, n + m), "ordered": (F.try_divide(d, n) + F.try_divide(d, m)) / 2}[direction]
     return rows.select("utt_id", "s1", "s2", rate.cast("double").alias("rate"))
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from voxtable.functions.binding import let
 from voxtable.functions.hashing import uniform
 
 
@@ -14,13 +15,12 @@ def _sum(a: Column) -> Column:
 
 def log_softmax(logits: Column) -> Column:
     """Array of log-probabilities, shifted by the largest logit."""
-    top = F.array_max(logits)
-    return F.transform(logits, lambda x: x - top - F.ln(_sum(F.transform(logits, lambda y: F.exp(y - top)))))
+    shift = lambda a: F.array_max(a) + F.ln(let(F.array_max(a), lambda top: _sum(F.transform(a, lambda y: F.exp(y - top)))))
+    return let(logits, lambda a: let(shift(a), lambda s: F.transform(a, lambda x: x - s)))
 
 
 def softmax(logits: Column) -> Column:
-    top = F.array_max(logits)
-    return F.transform(logits, lambda x: F.exp(x - top) / _sum(F.transform(logits, lambda y: F.exp(y - top))))
+    return F.transform(log_softmax(logits), F.exp)
 
 
 def gumbel(seed: str, *keys: Column) -> Column:
@@ -33,8 +33,7 @@ def gumbel_softmax(logits: Column, noise: Column, tau: float, mode: str = "soft"
     shifted = F.zip_with(logits, noise, lambda x, g: (x + g) / tau)
     if mode == "soft":
         return softmax(shifted)
-    best = F.array_position(shifted, F.array_max(shifted))
-    return F.transform(shifted, lambda x, i: (i + 1 == best).cast("double"))
+    return let(shifted, lambda a: let(F.array_position(a, F.array_max(a)), lambda best: F.transform(a, lambda x, i: (i + 1 == best).cast("double"))))
 
 
 def token_kl(p: Column, q: Column) -> Column:

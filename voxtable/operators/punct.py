@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from voxtable.functions.binding import let
 from voxtable.functions.hashing import draw
 from voxtable.functions.units import words
 
@@ -15,12 +16,10 @@ MARKS_WIDE = "，；：。？！"
 
 def align(text: Column, key: Column) -> Column:
     """Aligner stand-in: word, mark and following pause (hashed; none after the last word)."""
-    ws = words(text)
     mark = lambda w: F.regexp_extract(w, r"([,;:.?!]?)$", 1)
-    return F.transform(
-        ws,
-        lambda w, i: F.struct(F.regexp_replace(w, r"[,;:.?!]$", "").alias("word"), mark(w).alias("punct"), F.when(i < F.size(ws) - 1, F.pmod(draw("gap", key, i), F.lit(600)).cast("int")).alias("gap_ms")),
-    )
+    gap = lambda i: F.pmod(draw("gap", key, i), F.lit(600)).cast("int")
+    one = lambda ws: lambda w, i: F.struct(F.regexp_replace(w, r"[,;:.?!]$", "").alias("word"), mark(w).alias("punct"), F.when(i < F.size(ws) - 1, gap(i)).alias("gap_ms"))
+    return let(words(text), lambda ws: F.transform(ws, one(ws)))
 
 
 def adjusted(aligned: Column, add_ms: int = ADD_MS, drop_ms: int = DROP_MS, marks: str = MARKS) -> Column:

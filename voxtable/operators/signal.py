@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from voxtable.functions.binding import let
+
 PEAK = 0.6
 
 
@@ -33,18 +35,16 @@ def screen_truncated(packed: DataFrame, n: int = 1, floor: float = 100.0) -> Dat
 def trim_silence(packed: DataFrame, floor: float = 10.0) -> DataFrame:
     """Leading and trailing samples below the floor go; an all-silent segment becomes empty."""
     loud = F.filter(F.transform("samples", lambda x, i: F.when(x >= floor, i + 1)), lambda i: i.isNotNull())
-    return packed.withColumn("loud", loud).withColumn(
-        "samples", F.when(F.size("loud") > 0, F.slice(F.col("samples"), F.array_min("loud"), F.array_max("loud") - F.array_min("loud") + 1)).otherwise(F.array().cast("array<double>"))
-    ).drop("loud")
+    cut = lambda at: F.when(F.size(at) > 0, F.slice(F.col("samples"), F.array_min(at), F.array_max(at) - F.array_min(at) + 1)).otherwise(F.array().cast("array<double>"))
+    return packed.withColumn("samples", let(loud, cut))
 
 
 def normalize_volume(packed: DataFrame, peak: str = "max", target: float = PEAK) -> DataFrame:
     """Samples over their peak times the target; vol_degenerate marks peaks that are missing or not positive: kept as they are."""
     top = F.array_max("samples") if peak == "max" else F.array_max(F.transform("samples", F.abs))
     fine = F.coalesce(top > 0, F.lit(False))
-    return packed.withColumn("vol_degenerate", ~fine).withColumn("top", top).withColumn(
-        "samples", F.when(fine, F.transform("samples", lambda x: x / F.col("top") * target)).otherwise(F.col("samples"))
-    ).drop("top")
+    scaled = let(top, lambda t: F.transform("samples", lambda x: x / t * target))
+    return packed.withColumn("vol_degenerate", ~fine).withColumn("samples", F.when(fine, scaled).otherwise(F.col("samples")))
 
 
 def resample(col: Column, src_rate: float, dst_rate: float, mode: str = "linear") -> Column:
