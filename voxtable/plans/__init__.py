@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("corpus", "speech_tokens", "rewards", "text_side", "corpus_sets", "measures")
+MODULES = ("corpus", "speech_tokens", "rewards", "text_side", "corpus_sets", "measures", "experiments")
 
 
 def register_all() -> None:
