@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from voxtable.llm.common import text_of
 
-SAMPLE = 4_500  # labelled documents that a model is fitted on, at most
+SAMPLE = 3_500  # labelled documents that a model is fitted on, at most
 SAMPLE_CHARS = 40_000  # longer labelled documents are not fitted on
 DECAY = 0.6
 SPAN = 24  # letters of a word compared at once; longer words by overlapping stretches
@@ -35,7 +35,8 @@ ROUNDS = 4
 PURE = 0.1  # most odds, against those of toxic documents, at which plain ones hold a toxic word
 NEAR = 0.3  # least decision value of a word taken for a document's toxic one
 THRESHOLD = 0.7
-CACHE = 1 << 19
+CACHE = 1 << 18
+TOGETHER = 1 << 20  # characters whose words are in memory at once
 FLOOR = -1.0  # decision values below count as this, and so does what is no word
 #: ASCII characters that are no letter and no white space: they go before words are cut.
 _OUTSIDE = bytes(i for i in range(128) if not chr(i).isalpha() and not chr(i).isspace())
@@ -152,8 +153,9 @@ class Model:
                 if len(part) >= 3:
                     by_size.setdefault(len(part), []).append((i, part))
         for n, of in by_size.items():
-            for s in range(0, len(of), 4096):
-                some = of[s : s + 4096]
+            step = max(1, 500_000 // len(_grid(n)[0]))
+            for s in range(0, len(of), step):
+                some = of[s : s + step]
                 weight = _grid(n)[1]
                 sums = self.table[_codes([w for _, w in some], n)] @ weight
                 # repeats within a word only raise its norm: most words cannot come above the floor
@@ -165,6 +167,16 @@ class Model:
 
     def values(self, texts: Iterable[str]) -> np.ndarray:
         """The highest decision value among each text's words."""
+        out, some, size = [], [], 0
+        for t in texts:
+            some.append(t)
+            size += len(t)
+            if size >= TOGETHER:
+                out.append(self._values(some))
+                some, size = [], 0
+        return np.concatenate([*out, self._values(some)])
+
+    def _values(self, texts: list[str]) -> np.ndarray:
         split = [words_of(t) for t in texts]
         if len(self.cache) > CACHE:
             self.cache.clear()
