@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ("corpus", "speech_tokens", "rewards", "text_side", "corpus_sets", "measures", "experiments")
+MODULES = ("corpus", "speech_tokens", "rewards", "text_side", "corpus_sets", "measures", "experiments", "relational", "streams")
 
 
 def register_all() -> None:
