@@ -159,6 +159,28 @@ def edit(a, b):
     return prev[-1]
 
 
+def grouped(spark, lines):
+    docs = spark.createDataFrame(list(enumerate(lines)), "doc_id bigint, text string")
+    return {r["doc_id"]: r["group_id"] for r in fuzzy_lines.line_groups(docs).collect()}
+
+
+def test_lines_within_edit_similarity_meet(spark):
+    rnd = random.Random(4)
+    word = lambda: "".join(rnd.choice("abcdefghijklmnop") for _ in range(rnd.randint(3, 9)))
+    lines = []
+    for n in (1, 2, 3, 4, 5, 8, 10, 12, 14, 15, 20, 40, 80):
+        for _ in range(6):
+            w = [word() for _ in range(n)] if n > 3 else [word() + word() + word() + word() for _ in range(n)]
+            new = list(w)
+            for at in rnd.sample(range(n), max(1, n // 5)):
+                new[at] = "".join(reversed(new[at])) if n > 5 else new[at][:2] + "z" + new[at][3:]
+            lines += [" ".join(w), " ".join(new)]
+    got = grouped(spark, lines)
+    near = [i for i in range(0, len(lines), 2) if len(lines[i]) >= 20 and edit(lines[i], lines[i + 1]) <= 0.2 * max(len(lines[i]), len(lines[i + 1]))]
+    assert len(near) > 60 and all(got[i] == got[i + 1] for i in near)
+    assert len({got[i] for i in near}) == len(near)
+
+
 def test_lines_of_edges(edge, empty):
     assert fuzzy_lines.line_report(empty).count() == 0
     assert {r["doc_id"] for r in fuzzy_lines.line_report(edge).collect()} == {4, 5, None, 7, 8}
