@@ -181,6 +181,20 @@ def test_lines_within_edit_similarity_meet(spark):
     assert len({got[i] for i in near}) == len(near)
 
 
+def test_lines_are_verified_by_characters(spark):
+    a = "internationalisation acknowledgement responsibilities"
+    b = a.replace("acknow", "acknov").replace("respon", "resqon")  # two of three words differ, two of 53 characters
+    c, d = "item 7 of the long list of things", "item of the long list of things"
+    got = grouped(spark, [a, b, c, d, c.replace("7", "12")])
+    assert got[0] == got[1] and got[2] == got[4] == got[3]
+
+
+def test_lines_without_letters_group_by_equality(spark):
+    lines = ["2024-01-05 | 17.5 | 18.25 | 99", "2024-01-05 | 17.5 | 18.25 | 99 ", "2024-01-05 | 17.5 | 18.25 | 98", "----------------------", "----------------------", "======================"]
+    got = grouped(spark, lines)
+    assert len(got) == 6 and got[0] == got[1] and got[3] == got[4] and len(set(got.values())) == 4
+
+
 def test_lines_of_edges(edge, empty):
     assert fuzzy_lines.line_report(empty).count() == 0
     assert {r["doc_id"] for r in fuzzy_lines.line_report(edge).collect()} == {4, 5, None, 7, 8}
