@@ -1,5 +1,7 @@
 """The pipeline's stages against what each should do to its input."""
 
+import random
+
 import corpus_pipeline
 import pytest
 from pyspark.sql import functions as F
@@ -39,3 +41,26 @@ def test_stages_take_empty_tables_and_keep_columns(spark, sf_dir, name):
         assert out.columns == docs.columns
     else:
         assert "shard" in out.columns and hilbert_shards.SHARDS == 16
+
+
+def test_near_copies_by_five_word_similarity(spark):
+    rnd = random.Random(8)
+    words = ["".join(rnd.choice("abcdefgh") for _ in range(5)) for _ in range(300)]
+    passage = " ".join(rnd.choice(words) for _ in range(30))
+    texts = [" ".join([*(rnd.choice(words) for _ in range(150)), passage]) for _ in range(90)]
+    for i in range(60):
+        w = texts[i % 20].split()
+        for _ in range(i // 20 * 2 + 1):
+            w[rnd.randrange(180)] = rnd.choice(words)
+        texts.append(" ".join(w))
+    texts += ["", " \n", None, "one two", "One  two", "three"]
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for w in ((t or "").lower().split() for t in texts)]
+    best = list(range(len(texts)))
+    for _ in texts:
+        before = list(best)
+        best = [min(best[j] for j in range(len(sets)) if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])) for i in range(len(sets))]
+        if best == before:
+            break
+    docs = spark.createDataFrame([(i, t, None, None, 0) for i, t in enumerate(texts)], "doc_id bigint, text string, lang string, source string, n_chars int")
+    kept = {r["doc_id"] for r in corpus_pipeline.near_dedup_stage(spark, docs, "").collect()}
+    assert kept == set(best) and 90 <= len(kept) < len(texts) - 40

@@ -20,9 +20,9 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql.types import LongType
+from pyspark.sql.types import ArrayType, LongType
 
 from voxtable.llm.common import broadcast_if_small, cut, text_of
 from voxtable.llm.components import component_roots
@@ -208,3 +208,76 @@ def drop_near_copies(docs: DataFrame) -> DataFrame:
     """
     dropped = cut(simhash_components(docs).filter("doc_id <> component_id").select("doc_id").distinct())
     return docs.join(broadcast_if_small(dropped, 1_000_000), "doc_id", "left_anti").select(docs.columns)
+
+
+STAGE_SHINGLE = 5
+HOT, MOST_HOT = 64, 200_000
+
+
+@F.pandas_udf(ArrayType(LongType()))
+def _shingle_sets(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    from xxhash import xxh64_intdigest
+
+    def of(text: str) -> np.ndarray:
+        words = text.encode("utf-8", "surrogatepass").lower().split()
+        k = min(STAGE_SHINGLE, len(words))
+        grams = map(b" ".join, zip(*(words[i:] for i in range(k)), strict=False))
+        return np.unique(np.fromiter((xxh64_intdigest(g, SEED) for g in grams), dtype=np.uint64).view(np.int64))
+
+    for batch in texts:
+        yield pd.Series([of(t) for t in batch])
+
+
+def _prefixes(hot: np.ndarray):
+    """The first fifth and one more of a set, hot shingles last: sets of Jaccard similarity 0.8 share one of these, in whatever order."""
+
+    def of(sets: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for batch in sets:
+            yield pd.Series([s[np.argsort(np.isin(s, hot), kind="stable")][: len(s) // 5 + 1] for s in batch])
+
+    of.__annotations__ = {"sets": Iterator[pd.Series], "return": Iterator[pd.Series]}
+    return F.pandas_udf(of, ArrayType(LongType()))
+
+
+def _similar(sets: DataFrame, pairs: DataFrame) -> DataFrame:
+    """pairs (a, b) of keys -> those whose sets have a Jaccard similarity of at least 0.8."""
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct()
+    held = sets.join(wanted, "key", "left_semi").dropDuplicates(["key"])
+    both = pairs.join(held.select(F.col("key").alias("a"), F.col("sh").alias("x")), "a").join(held.select(F.col("key").alias("b"), F.col("sh").alias("y")), "b")
+    return both.filter(9 * F.size(F.array_intersect("x", "y")) >= 4 * (F.size("x") + F.size("y"))).select("a", "b")
+
+
+def similar_components(docs: DataFrame) -> DataFrame:
+    """doc_id, component_id (smallest doc_id reachable) for every row; links are five-word shingle sets of Jaccard similarity 0.8 or more.
+
+    Shorter texts are one shingle; null, empty and blank texts are equal. Candidates share a shingle of their prefixes, so no link is missed;
+    shingles that over HOT sets show come last in a set, so a common passage alone makes no pairs.
+    """
+    sets = cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), _shingle_sets(text_of()).alias("sh")).withColumn("key", F.xxhash64("sh")))
+
+    def listed(hot: np.ndarray) -> DataFrame:
+        return sets.select("key", F.size("sh").alias("n"), F.explode(_prefixes(hot)(F.col("sh"))).alias("block")).distinct()
+
+    counts = listed(np.empty(0, dtype=np.int64)).groupBy("block").count().filter(F.col("count") > HOT)
+    hot = counts.orderBy(F.desc("count"), "block").limit(MOST_HOT).select("block").collect()
+    rows = listed(np.array(sorted(r[0] for r in hot), dtype=np.int64))
+    lead = Window.partitionBy("block")
+    rows = cut(rows.withColumn("leader", F.min(F.struct("key", "n")).over(lead)).withColumn("members", F.count(F.lit(1)).over(lead)).filter("members > 1").drop("members"))
+    near = lambda a, b: 5 * F.least(a, b) >= 4 * F.greatest(a, b)
+    stars = rows.filter("key <> leader.key").filter(near("n", "leader.n")).groupBy(F.col("key").alias("b")).agg(F.min("leader.key").alias("a"))
+    stars = cut(_similar(sets, stars))
+    # what a block still holds in different groups
+    placed = rows.join(component_roots(stars).withColumnRenamed("node", "key"), "key", "left").select("key", "n", "block", F.coalesce("root", "key").alias("root"))
+    left, right = placed.alias("l"), placed.alias("r")
+    more = left.join(right, (F.col("l.block") == F.col("r.block")) & (F.col("l.key") < F.col("r.key")) & (F.col("l.root") != F.col("r.root")) & near("l.n", "r.n"))
+    more = cut(_similar(sets, more.select(F.col("l.key").alias("a"), F.col("r.key").alias("b")).distinct()))
+    roots = component_roots(stars.unionByName(more))
+    named = sets.select("doc_id", "key").join(roots, F.col("key") == F.col("node"), "left").select("doc_id", F.coalesce("root", "key").alias("root"))
+    named = cut(named)
+    return named.join(named.groupBy("root").agg(F.min("doc_id").alias("component_id")), "root").select("doc_id", "component_id")
+
+
+def drop_similar(docs: DataFrame) -> DataFrame:
+    """As drop_near_copies, by similar_components."""
+    dropped = cut(similar_components(docs).filter("doc_id <> component_id").select("doc_id").distinct())
+    return docs.join(broadcast_if_small(dropped, 1_000_000), "doc_id", "left_anti").select(docs.columns)
