@@ -495,3 +495,11 @@ def test_shards_hold_their_law(spark, edge, empty):
 def test_written_shards(spark, edge, tmp_path):
     hilbert_shards.write_shards(edge.drop("shard", "slot"), str(tmp_path / "s"))
     assert spark.read.parquet(str(tmp_path / "s")).count() == len([e for e in EDGE if e[0] is not None])
+
+
+def test_every_row_is_written_where_it_is_placed(spark, edge, tmp_path):
+    docs = edge.drop("shard", "slot").unionAll(spark.createDataFrame([(5, f"copy {i % 3}", "en", "a", 6) for i in range(40)], DOCS).selectExpr("*", *[f"'clash' AS {c}" for c in edge.drop("shard", "slot").columns[5:]]))
+    hilbert_shards.write_shards(docs, str(tmp_path / "s"), 4)
+    got = [(r["doc_id"], r["shard"], r["slot"]) for r in spark.read.parquet(str(tmp_path / "s")).collect()]
+    want = [(r["doc_id"], r["shard"], r["slot"]) for r in hilbert_shards.place(docs, 4).collect()]
+    assert len(got) == len(EDGE) + 40 and sorted(got, key=str) == sorted(want, key=str) and len({x[1] for x in got}) == 4

@@ -74,8 +74,15 @@ def place(docs: DataFrame, shards: int = SHARDS) -> DataFrame:
     equal in all of these are interchangeable. An empty table gives an empty result; fewer rows
     than shards leave shards empty; extra columns are not read.
     """
+    columns = ["doc_id", "size", "text_crc32", "law", "shard", "slot", "grown_shard", "curve"]
+    return _placed(docs, shards).select(columns)
+
+
+def _placed(docs: DataFrame, shards: int, *carried: Column) -> DataFrame:
+    """What place() returns, with the carried columns of each row after it."""
     text = text_of()
     rows = docs.select(
+        *carried,
         F.col("doc_id").cast("long").alias("doc_id"),
         (F.octet_length(text) + 1).cast("long").alias("size"),
         F.crc32(text).alias("text_crc32"),
@@ -84,7 +91,8 @@ def place(docs: DataFrame, shards: int = SHARDS) -> DataFrame:
     )
     rows = rows.withColumn("curve", _curve(_category(F.col("lang")), _category(F.col("source")), _length_cell(F.col("size"))))
     rows = rows.withColumn("mix", F.xxhash64("doc_id", "text_crc32")).withColumn("bucket", F.pmod("mix", F.lit(BUCKETS)).cast("int"))
-    rows = cut(rows.select("doc_id", "size", "text_crc32", "curve", "bucket", "mix"))
+    names = [c for c in rows.columns if c not in ("doc_id", "size", "text_crc32", "lang", "source", "curve", "bucket", "mix")]
+    rows = cut(rows.select("doc_id", "size", "text_crc32", "curve", "bucket", "mix", *names))
     # bucket starts within a cell, then cell starts: the latter is a window over at most SIDE**3 rows
     buckets = rows.groupBy("curve", "bucket").agg(F.count(F.lit(1)).alias("n"))
     in_cell = Window.partitionBy("curve").orderBy("bucket")
@@ -99,11 +107,12 @@ def place(docs: DataFrame, shards: int = SHARDS) -> DataFrame:
     shard = F.expr(f"int(at * {shards} div total)")
     first = F.expr(f"(int(at * {shards} div total) * total + {shards - 1}) div {shards}")
     return ranked.select(
-        "doc_id", "size", "text_crc32", F.lit("rows").alias("law"), shard.alias("shard"), (F.col("at") - first).alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "curve"
+        "doc_id", "size", "text_crc32", F.lit("rows").alias("law"), shard.alias("shard"), (F.col("at") - first).alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "curve", *names
     )
 
 
 def write_shards(docs: DataFrame, path: str, shards: int = SHARDS) -> None:
     """The documents as Parquet, one folder for each shard, sorted along the curve, for pruning by file statistics."""
-    where = place(docs, shards).select("doc_id", "shard", "slot").dropDuplicates(["doc_id"])
-    docs.join(where, "doc_id").repartition("shard").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
+    where = _placed(docs, shards, row).select("row.*", "shard", "slot")
+    where.repartition("shard").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
