@@ -321,3 +321,13 @@ def test_plans(spark, sf_dir):
     for build in (corpus.a3_consensus_utt, corpus.a6_rank, corpus.a4_punct):
         plan = _plan(build(spark, sf_dir))
         assert "CartesianProduct" not in plan and "Python" not in plan and "Pandas" not in plan
+
+
+def test_short_items_leak_too(spark):
+    from voxtable.operators import bench_sets
+
+    docs = ["one two", "xone two three four five six seven eight nine", "two one", "a one twofold", None, ""]
+    items = ["one two", "two three four", "nine", "one two three four five six seven eight", None]
+    train = spark.createDataFrame(list(enumerate(docs)), "doc_id bigint, text string")
+    got = bench_sets.leakage(train, spark.createDataFrame(list(enumerate(items)), "item_id bigint, text string"), "doc_id").collect()
+    assert sorted(map(tuple, got)) == [(d, i) for d, t in enumerate(docs) for i, x in enumerate(items) if t is not None and x is not None and x in t]

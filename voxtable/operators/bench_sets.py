@@ -65,11 +65,13 @@ def pair(df: DataFrame, key: str, by: str, seed: str = "pair") -> DataFrame:
 
 
 def leakage(train: DataFrame, items: DataFrame, key: str, n: int = 8) -> DataFrame:
-    """key, item_id: training rows that hold an item's text, found by its first n words and then verified whole."""
+    """key, item_id: training rows that hold an item's text, found by its first n words and then verified whole; shorter items are looked for in every row."""
     gram = lambda t, i: F.xxhash64(F.array_join(F.slice(t, i, F.lit(n - 2)), " "))
     grams = lambda text: let(text, lambda t: F.transform(F.sequence(F.lit(1), F.size(t) - (n - 2) + 1), lambda i: gram(t, i)))
     toks, itoks = F.split("text", " "), F.split("text", " ")
     starts = items.filter(F.size(itoks) >= n).select("item_id", F.col("text").alias("item"), F.xxhash64(F.array_join(F.slice(itoks, 2, n - 2), " ")).alias("g"))
     held = train.filter(F.size(toks) >= n).select(key, F.explode(F.array_distinct(grams(toks))).alias("g"))
     met = held.join(starts, "g").select(key, "item_id", "item").distinct()
-    return train.join(met, key).filter(F.contains(F.col("text"), F.col("item"))).select(key, "item_id").distinct()
+    held_whole = lambda df: df.filter(F.contains(F.col("text"), F.col("item"))).select(key, "item_id")
+    short = items.filter(F.size(itoks) < n).select("item_id", F.col("text").alias("item"))
+    return held_whole(train.join(met, key)).unionAll(held_whole(train.join(short))).distinct()
