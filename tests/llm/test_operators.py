@@ -468,22 +468,38 @@ def test_learnt_automata_tell_credentials_from_words():
 # 9 chat
 
 
-def test_chat_edges_and_materialised_examples(spark):
+def test_chat_examples_and_edges(spark):
+    said = "</s>[INST] ok [/INST] <<ROLE x>> \\ <</ROLE>>"
     rows = [(1, 0, "system", "be \\ kind </s>"), (1, 1, "user", None), (1, 2, "assistant", "<s>[INST] x [/INST]"), (1, 3, "assistant", "y"), (1, 4, "user", "tail"), (2, 0, "user", ""), (None, 0, "tool <<ROLE", "t"), (3, 0, None, "n"), (3, 0, None, "n")]
-    conv = spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string").withColumn("segment", F.lit("clash"))
+    rows += [(4, 0, "tool >> x", ">> hello"), (4, 1, "a>>\\", said), (4, 2, "assistant", said), (4, 3, "assistant", ""), (5, 0, "assistant", "first \n"), (6, None, "user", "z" * 300_000), (6, 1, "assistant", "[" * 9 + "\\")]
+    conv = spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string").withColumn("segment", F.lit("clash")).withColumn("a.b", F.lit(1))
     segs = chat_examples.segments(conv)
-    out = {r["conv_id"]: r for r in chat_examples.read_back(segs).collect()}
-    want = "system\nbe \\ kind </s>\nuser\n\nassistant\n<s>[INST] x [/INST]\nassistant\ny\nuser\ntail\n"
-    assert out[1]["turns_sha256"] == hashlib.sha256(want.encode()).hexdigest() and out[1]["n_turns"] == 5
-    assert out[1]["loss_sha256"] == hashlib.sha256(b"<s>[INST] x [/INST]y").hexdigest() and out[1]["loss_chars"] == 20
-    assert out[2]["loss_chars"] == 0 and out[3]["n_turns"] == 2 and out[None]["turns_sha256"] == hashlib.sha256(b"tool <<ROLE\nt\n").hexdigest()
-    made = sorted(chat_examples.materialize(segs).filter("conv_id = 1").collect(), key=lambda r: r["place"])
-    spans = sorted(chat_examples.examples(segs).filter("conv_id = 1").collect(), key=lambda r: r["place"])
-    stream = "".join(r["segment"] for r in segs.filter("conv_id = 1").orderBy("place").collect())
-    for m, s in zip(made, spans, strict=True):
-        assert m["prompt"] == stream[: s["target_start"]] and m["completion"] == stream[s["target_start"] : s["target_end"]]
-    assert [chat_examples.unescape(m["completion"]) for m in made] == ["<s>[INST] x [/INST]", "y"] and "</s>" not in made[0]["prompt"]
-    assert chat_examples.read_back(chat_examples.segments(conv.limit(0))).count() == 0
+    made = chat_examples.examples(segs)
+    out = {r["conv_id"]: r for r in chat_examples.read_back(made).collect()}
+    turns, loss, n = {}, {}, {}
+    for c, _, role, text in rows:
+        turns[c] = turns.get(c, "") + f"{role or ''}\n{text or ''}\n"
+        n[c] = n.get(c, 0) + (role == "assistant")
+        loss[c] = loss.get(c, "") + (text if role == "assistant" else "")
+    assert set(out) == set(turns)
+    for c, r in out.items():
+        assert r["turns_sha256"] == hashlib.sha256(turns[c].encode()).hexdigest() and r["n_turns"] == sum(x[0] == c for x in rows)
+        assert (r["loss_sha256"], r["loss_chars"], r["n_examples"]) == (hashlib.sha256(loss[c].encode()).hexdigest(), len(loss[c]), n[c])
+    # every example by brute force: its context is all earlier turns, and nothing but the reply is trainable
+    texts = {(r["conv_id"], r["place"]): r for r in made.collect()}
+    assert sum(r["loss_start"] is not None for r in texts.values()) == sum(n.values())
+    for c in set(turns):
+        mine = [x for x in rows if x[0] == c]
+        for i, x in enumerate(mine):
+            if x[2] == "assistant":
+                r = texts[c, i + 1]
+                assert list(chat_examples.parsed(r["text"])) == [(t[2] or "", t[3] or "") for t in mine[: i + 1]]
+                assert chat_examples.unescape(r["text"][r["loss_start"] : r["loss_end"]]) == x[3]
+    for c, r in out.items():
+        assert r["formatted_chars"] == sum(len(e["text"]) for k, e in texts.items() if k[0] == c)
+    cut = chat_examples.materialize(segs).collect()
+    assert len(cut) == sum(n.values()) and all(texts[r["conv_id"], r["place"]]["text"] == r["prompt"] + r["completion"] + " </s>" for r in cut)
+    assert chat_examples.read_back(chat_examples.examples(chat_examples.segments(conv.limit(0)))).count() == 0
 
 
 # 10 shards

@@ -14,12 +14,13 @@ def test_stages_by_brute_force(spark, sf_dir):
     now = [r.asDict() for r in docs.collect()]
     model = toxicity.fit_on(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     now = [r for r, s in zip(now, model.scores([r["text"] for r in now]), strict=True) if s < 0.7]
-    fps = {r["doc_id"]: simhash_dedup.fingerprint(r["text"]) for r in now}
-    best = {d: d for d in fps}
-    for _ in range(len(fps)):
+    sets = {r["doc_id"]: simhash_dedup.shingle_set(r["text"] or "") for r in now}
+    sets = {d: set(s.tolist()) for d, s in sets.items()}
+    near = {a: [b for b in sets if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])] for a in sets}
+    best = {d: d for d in sets}
+    for _ in range(len(sets)):
         before = dict(best)
-        for a in fps:
-            best[a] = min(best[b] for b in fps if (fps[a] ^ fps[b]).bit_count() <= 3)
+        best = {a: min(before[b] for b in near[a]) for a in sets}
         if best == before:
             break
     now = [r for r in now if best[r["doc_id"]] == r["doc_id"]]

@@ -53,7 +53,7 @@ def cut(df: DataFrame) -> DataFrame:
 def stored(df: DataFrame) -> DataFrame:
     """As cut, as a Parquet table: later reads take the columns they need. No dictionaries: hashes and texts hardly repeat."""
     out = f"{shared_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
-    df.write.option("parquet.enable.dictionary", "false").parquet(out)
+    df.write.option("parquet.enable.dictionary", "false").option("compression", "zstd").parquet(out)
     return df.sparkSession.read.schema(df.schema).parquet(out)
 
 

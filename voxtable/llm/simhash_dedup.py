@@ -20,12 +20,13 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, LongType
+from pyspark.sql.types import ArrayType, BooleanType, LongType, StructField, StructType
 
-from voxtable.llm.common import broadcast_if_small, cut, text_of
-from voxtable.llm.components import component_roots
+from voxtable.llm.common import broadcast_if_small, columns_of, cut, stored, text_of
+from voxtable.llm.components import component_roots, forest_roots
+from voxtable.llm.lanes import SMALL, met_pairs
 
 SHINGLE = 3
 SEED = 42
@@ -207,77 +208,128 @@ def drop_near_copies(docs: DataFrame) -> DataFrame:
     Rows that repeat a doc_id are one document and stay or go together; rows without a doc_id stay.
     """
     dropped = cut(simhash_components(docs).filter("doc_id <> component_id").select("doc_id").distinct())
-    return docs.join(broadcast_if_small(dropped, 1_000_000), "doc_id", "left_anti").select(docs.columns)
+    return docs.join(broadcast_if_small(dropped, 1_000_000), "doc_id", "left_anti").select(*columns_of(docs))
 
 
 STAGE_SHINGLE = 5
-HOT, MOST_HOT = 64, 200_000
+JACCARD = 0.8
+LANES, WIDTH = 12, 3  # SimHashes of a text, and how many sampled shingles each is taken over
+AGREE = 6  # of the LANES + WIDTH - 1 sampled shingles, those that a verified pair has in common at least; of 14, 11 are expected
 
 
-@F.pandas_udf(ArrayType(LongType()))
-def _shingle_sets(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+def shingle_set(text: str, shingle: int = STAGE_SHINGLE) -> np.ndarray:
+    """Sorted distinct XXH64 of the word shingles of a text; a shorter text is one shingle, a blank one none."""
     from xxhash import xxh64_intdigest
 
-    def of(text: str) -> np.ndarray:
-        words = text.encode("utf-8", "surrogatepass").lower().split()
-        k = min(STAGE_SHINGLE, len(words))
-        grams = map(b" ".join, zip(*(words[i:] for i in range(k)), strict=False))
-        return np.unique(np.fromiter((xxh64_intdigest(g, SEED) for g in grams), dtype=np.uint64).view(np.int64))
+    words = text.encode("utf-8", "surrogatepass").lower().split()
+    k = min(shingle, len(words))
+    grams = map(b" ".join, zip(*(words[i:] for i in range(k)), strict=False))
+    return np.unique(np.fromiter((xxh64_intdigest(g, SEED) for g in grams), dtype=np.uint64))
 
-    for batch in texts:
-        yield pd.Series([of(t) for t in batch])
 
+def _sampled(shingles: np.ndarray, level: int) -> np.ndarray:
+    """The first LANES + WIDTH - 1 of a set, in the order of the level: similar sets have similar samples."""
+    mixed = (shingles ^ np.uint64(0x9E3779B97F4A7C15 * (level + 1) % 2**64)) * np.uint64(0xBF58476D1CE4E5B9)
+    mixed ^= mixed >> np.uint64(29)
+    return shingles[np.argsort(mixed * np.uint64(0x94D049BB133111EB), kind="stable")[: LANES + WIDTH - 1]]
+
+
+def _lanes(sample: np.ndarray) -> np.ndarray:
+    """SimHashes over each WIDTH neighbours of a sample: the bits that more than half of them have."""
+    if len(sample) < WIDTH:
+        return sample[:1]
+    a, b, c = sample[:-2], sample[1:-1], sample[2:]
+    return (a & b) | (a & c) | (b & c)
+
+
+SKETCH = StructType([StructField(c, LongType()) for c in ("k1", "k2", "n")] + [StructField(c, ArrayType(LongType())) for c in ("sample", "lanes")])
+
+
+@F.pandas_udf(SKETCH)
+def _sketches(texts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+    from xxhash import xxh3_128_digest
+
+    for batch in texts:
+        rows = []
+        for text in batch:
+            s = shingle_set(text)
+            sample = _sampled(s, 0)
+            k1, k2 = np.frombuffer(xxh3_128_digest(s.tobytes()), dtype=np.int64)
+            rows.append((k1, k2, len(s), sample.view(np.int64), _lanes(sample).view(np.int64)))
+        yield pd.DataFrame(rows, columns=["k1", "k2", "n", "sample", "lanes"])
 
-def _prefixes(hot: np.ndarray):
-    """The first fifth and one more of a set, hot shingles last: sets of Jaccard similarity 0.8 share one of these, in whatever order."""
 
-    def of(sets: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        for batch in sets:
-            yield pd.Series([s[np.argsort(np.isin(s, hot), kind="stable")][: len(s) // 5 + 1] for s in batch])
+def _finer(level: int):  # noqa: ANN202
+    def of(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for batch in texts:
+            yield pd.Series([_lanes(_sampled(shingle_set(t), level)).view(np.int64) for t in batch])
 
-    of.__annotations__ = {"sets": Iterator[pd.Series], "return": Iterator[pd.Series]}
+    of.__annotations__ = {"texts": Iterator[pd.Series], "return": Iterator[pd.Series]}
     return F.pandas_udf(of, ArrayType(LongType()))
 
 
-def _similar(sets: DataFrame, pairs: DataFrame) -> DataFrame:
-    """pairs (a, b) of keys -> those whose sets have a Jaccard similarity of at least 0.8."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct()
-    held = sets.join(wanted, "key", "left_semi").dropDuplicates(["key"])
-    both = pairs.join(held.select(F.col("key").alias("a"), F.col("sh").alias("x")), "a").join(held.select(F.col("key").alias("b"), F.col("sh").alias("y")), "b")
-    return both.filter(9 * F.size(F.array_intersect("x", "y")) >= 4 * (F.size("x") + F.size("y"))).select("a", "b")
+@F.pandas_udf(BooleanType())
+def _similar_texts(pairs: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
+    for left, right in pairs:
+        out = []
+        for x, y in zip(left, right, strict=True):
+            a, b = shingle_set(x), shingle_set(y)
+            both = len(np.intersect1d(a, b, assume_unique=True))
+            out.append(both >= JACCARD * (len(a) + len(b) - both))
+        yield pd.Series(out, dtype=bool)
 
 
-def similar_components(docs: DataFrame) -> DataFrame:
-    """doc_id, component_id (smallest doc_id reachable) for every row; links are five-word shingle sets of Jaccard similarity 0.8 or more.
+def similar_groups(docs: DataFrame) -> DataFrame:
+    """all (the row of docs, as a struct), doc_id, at (a number for the row), kept: links are five-word shingle sets of Jaccard similarity 0.8 or more.
 
-    Shorter texts are one shingle; null, empty and blank texts are equal. Candidates share a shingle of their prefixes, so no link is missed;
-    shingles that over HOT sets show come last in a set, so a common passage alone makes no pairs.
+    A text's fingerprint is a row of SimHashes, each over three neighbours in a hash-ordered sample of its shingles, and they are the positions of the
+    inverted index: similar texts have most of the sample in common, hence some position. Pairs are tallied by their common
+    samples, and verified on whole shingle sets. Texts of equal sets collapse first; shorter texts are one shingle; null, empty and blank texts are
+    equal. Each group keeps its row of the smallest doc_id (null last, then the first row); texts may have any length, rows may repeat.
     """
-    sets = cut(docs.select(F.col("doc_id").cast("long").alias("doc_id"), _shingle_sets(text_of()).alias("sh")).withColumn("key", F.xxhash64("sh")))
-
-    def listed(hot: np.ndarray) -> DataFrame:
-        return sets.select("key", F.size("sh").alias("n"), F.explode(_prefixes(hot)(F.col("sh"))).alias("block")).distinct()
-
-    counts = listed(np.empty(0, dtype=np.int64)).groupBy("block").count().filter(F.col("count") > HOT)
-    hot = counts.orderBy(F.desc("count"), "block").limit(MOST_HOT).select("block").collect()
-    rows = listed(np.array(sorted(r[0] for r in hot), dtype=np.int64))
-    lead = Window.partitionBy("block")
-    rows = cut(rows.withColumn("leader", F.min(F.struct("key", "n")).over(lead)).withColumn("members", F.count(F.lit(1)).over(lead)).filter("members > 1").drop("members"))
-    near = lambda a, b: 5 * F.least(a, b) >= 4 * F.greatest(a, b)
-    stars = rows.filter("key <> leader.key").filter(near("n", "leader.n")).groupBy(F.col("key").alias("b")).agg(F.min("leader.key").alias("a"))
-    stars = cut(_similar(sets, stars))
-    # what a block still holds in different groups
-    placed = rows.join(component_roots(stars).withColumnRenamed("node", "key"), "key", "left").select("key", "n", "block", F.coalesce("root", "key").alias("root"))
-    left, right = placed.alias("l"), placed.alias("r")
-    more = left.join(right, (F.col("l.block") == F.col("r.block")) & (F.col("l.key") < F.col("r.key")) & (F.col("l.root") != F.col("r.root")) & near("l.n", "r.n"))
-    more = cut(_similar(sets, more.select(F.col("l.key").alias("a"), F.col("r.key").alias("b")).distinct()))
-    roots = component_roots(stars.unionByName(more))
-    named = sets.select("doc_id", "key").join(roots, F.col("key") == F.col("node"), "left").select("doc_id", F.coalesce("root", "key").alias("root"))
-    named = cut(named)
-    return named.join(named.groupBy("root").agg(F.min("doc_id").alias("component_id")), "root").select("doc_id", "component_id")
+    rows = docs.select(F.struct(*columns_of(docs)).alias("all"), F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text"), F.monotonically_increasing_id().alias("at"))
+    rows = stored(rows.select("all", "doc_id", "at", _sketches("text").alias("s")).select("all", "doc_id", "at", "s.*"))
+    text = F.coalesce(F.col("all.text").cast("string"), F.lit(""))
+    once = rows.select("k1", "k2", "at", "n", "sample", "lanes").groupBy("k1", "k2")
+    sets = cut(once.agg(F.min("at").alias("id"), F.first("n").alias("n"), F.first("sample").alias("sample"), F.first("lanes").alias("lanes")))
+
+    def finer(ids: DataFrame, level: int) -> DataFrame:
+        texts = rows.select(F.col("at").alias("id"), text.alias("text")).join(broadcast_if_small(ids, SMALL), "id")
+        return texts.select("id", F.explode(F.array_distinct(_finer(level)("text"))).alias("lane"))
+
+    near = lambda n, m: F.least(n, m) >= JACCARD * F.greatest(n, m)
+    pairs = met_pairs(sets.select("id", "n", F.explode(F.array_distinct("lanes")).alias("key")), finer, near)
+    a, b = (sets.select(F.col("id").alias(i), F.col("sample").alias(f"sample_{i}")) for i in "ab")
+    pairs = pairs.join(a, "a").join(b, "b")
+    agree = F.size(F.array_intersect("sample_a", "sample_b"))
+    pairs = cut(pairs.filter(agree >= F.least(F.lit(AGREE), F.size("sample_a"), F.size("sample_b"))).select("a", "b"))
+    wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("at")).distinct())
+    texts = rows.select("at", text.alias("text")).join(broadcast_if_small(wanted, SMALL), "at")
+    deals = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def similar(some: DataFrame) -> DataFrame:
+        a, b = (texts.select(F.col("at").alias(i), F.col("text").alias(f"text_{i}")) for i in "ab")
+        both = some.repartition(deals, "a").join(a, "a").repartition(deals, "b").join(b, "b")
+        return cut(both.select("a", "b", _similar_texts("text_a", "text_b").alias("link")).filter("link").select("a", "b"))
+
+    # each text against the first that it met, which connects most groups; then only pairs between different groups
+    roots = cut(forest_roots(similar(cut(pairs.groupBy("b").agg(F.min("a").alias("a")))))).select(F.col("node").alias("id"), "root")
+    a, b = (roots.select(F.col("id").alias(i), F.col("root").alias(f"root_{i}")) for i in "ab")
+    apart = pairs.join(broadcast_if_small(a, SMALL), "a", "left").join(broadcast_if_small(b, SMALL), "b", "left")
+    apart = cut(apart.select("a", "b", F.coalesce("root_a", "a").alias("root_a"), F.coalesce("root_b", "b").alias("root_b")).filter("root_a <> root_b"))
+    links = similar(apart.select("a", "b")).join(apart, ["a", "b"]).select(F.col("root_a").alias("a"), F.col("root_b").alias("b"))
+    merged = component_roots(cut(links)).select(F.col("node").alias("root"), F.col("root").alias("merged"))
+    roots = roots.join(merged, "root", "left").select("id", F.coalesce("merged", "root").alias("root"))
+    roots = cut(cut(roots.unionAll(merged.select(F.col("root").alias("id"), F.col("merged").alias("root")))).groupBy("id").agg(F.min("root").alias("root")))
+    named = sets.select("k1", "k2", "id").join(broadcast_if_small(roots, SMALL), "id", "left").select("k1", "k2", F.coalesce("root", "id").alias("group"))
+    placed = rows.select("doc_id", "at", "k1", "k2").join(named, ["k1", "k2"])
+    placed = cut(placed.select("at", "group", F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "at").alias("place")))
+    first = placed.groupBy("group").agg(F.min("place")["at"].alias("first"))
+    gone = cut(placed.join(first, "group").filter("at <> first").select("at"))
+    return rows.select("all", "doc_id", "at").join(broadcast_if_small(gone.withColumn("gone", F.lit(True)), SMALL), "at", "left").select("all", "doc_id", "at", F.col("gone").isNull().alias("kept"))
 
 
 def drop_similar(docs: DataFrame) -> DataFrame:
-    """As drop_near_copies, by similar_components."""
-    dropped = cut(similar_components(docs).filter("doc_id <> component_id").select("doc_id").distinct())
-    return docs.join(broadcast_if_small(dropped, 1_000_000), "doc_id", "left_anti").select(docs.columns)
+    """The rows of docs that similar_groups keeps; columns as in docs, whatever their names."""
+    kept = similar_groups(docs).filter("kept")
+    return kept.select(*[F.col("all.`" + c.replace("`", "``") + "`").alias(c) for c in docs.columns])
