@@ -18,7 +18,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from voxtable.llm.common import broadcast_if_small, cut, text_of
+from voxtable.llm.common import broadcast_if_small, columns_of, cut, text_of
 
 RATE = 0.06
 BLOCK_CHARS = 4_000_000
@@ -28,7 +28,8 @@ HITS = "doc_id long, item_id long, distance int, budget int, span_start long, sp
 
 
 def normalise(text: str) -> str:
-    return " ".join(_WORD.findall(text.lower()))
+    """Words in lower case between single blanks: cut first, so places of words in the text are places of words here."""
+    return " ".join(_WORD.findall(text)).lower()
 
 
 def pieces(item: str, budget: int) -> list[tuple[int, str]]:
@@ -153,7 +154,8 @@ def leaks(docs: DataFrame, items: DataFrame, rate: float = RATE, block_chars: in
 
     The span is in code points of the document's raw text. Null and empty texts hold nothing; items without a word match nothing; an item
     shorter than 1 / rate characters must occur exactly. Repeated items and rows give a row each. Empty tables give an empty
-    result; other columns are not read.
+    result; other columns are not read. Of an item's passages in a document the nearest is reported, of equally near ones the first. Texts of any length
+    are searched whole, in time by their length.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text"))
     found = None
@@ -177,4 +179,4 @@ def leaks(docs: DataFrame, items: DataFrame, rate: float = RATE, block_chars: in
 def without_leaks(docs: DataFrame, items: DataFrame, rate: float = RATE) -> DataFrame:
     """The documents of docs that hold no item; rows without a doc_id stay; columns as in docs."""
     leaking = cut(leaks(docs, items, rate).select("doc_id").distinct())
-    return docs.join(broadcast_if_small(leaking, 1_000_000), "doc_id", "left_anti").select(docs.columns)
+    return docs.join(broadcast_if_small(leaking, 1_000_000), "doc_id", "left_anti").select(*columns_of(docs))

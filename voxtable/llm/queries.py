@@ -47,7 +47,7 @@ def op8_secret_grammar(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_prefix_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
     conversations = chat_examples.with_control_conversation(spark, table(spark, sf_dir, "conversations"))
-    return chat_examples.read_back(chat_examples.segments(conversations))
+    return chat_examples.read_back(chat_examples.examples(chat_examples.segments(conversations)))
 
 
 def op10_hilbert_shards(spark: SparkSession, sf_dir: str) -> DataFrame:

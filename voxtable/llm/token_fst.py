@@ -60,7 +60,6 @@ class Transducer:
         self.arcs: list[dict[str, tuple[int, int]]] = []
         self.start = self._state((("", None, 0),))
         self._closed = Chunks(self._counted).__getitem__
-        self._word = Chunks(lambda word: self._counted(MARK + word)).__getitem__
         known = "".join(re.escape(c) for c in sorted({c for p in scores for c in p} - {MARK}))
         # a chunk: marks and the known characters after them, or characters that no token holds
         self.chunk = re.compile(f"{MARK}+[{known}]*|[{known}]+|[^{MARK}{known}]+")
@@ -188,12 +187,9 @@ class Transducer:
         return a[0], a[1] + sum(map(self._closed, seam)) + b[1], b[2]
 
     def count(self, text: str) -> int:
-        """Tokens of a whole text: slices are mapped one by one and composed pair by pair."""
+        """Tokens of a whole text: its slices' maps, composed pair by pair."""
         if not text:
             return 0
-        words = text.split(" ") if len(text) <= SLICE and MARK not in text else [""]
-        if "" not in words:  # single spaces: a chunk begins at each, and is its word
-            return sum(map(self._word, words))
         text = MARK + text.replace(" ", MARK)
         maps = [self.chunk_map(text[i : i + SLICE]) for i in range(0, len(text), SLICE)]
         while len(maps) > 1:

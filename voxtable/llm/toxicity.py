@@ -1,7 +1,7 @@
 """Toxicity by a subsequence string kernel, Nyström landmarks and a support vector machine.
 
-Two words are compared by the gap-weighted kernel over their subsequences of three letters, so an insult is still near
-itself with characters inserted, left out or set apart. Landmarks are words that labelled toxic documents hold and others do
+Two words are compared by the gap-weighted kernel over their subsequences of three letters, the word's beginning counting as one, so an insult
+is still near itself with characters inserted, left out or set apart. Landmarks are words that labelled toxic documents hold and others do
 not, and frequent words of the others. In the Nyström map of the landmarks a linear machine is trained on
 words of labelled sentences; which word makes a toxic document toxic is not labelled, so the highest scored one of each is taken, in
 rounds (multiple-instance learning). A document scores by its highest word, through a logistic curve fitted on the same sample.
@@ -25,19 +25,21 @@ from pyspark.sql import functions as F
 from voxtable.llm.common import text_of
 
 SAMPLE = 3_500  # labelled documents that a model is fitted on, at most
-SAMPLE_CHARS = 40_000  # longer labelled documents are not fitted on
+SAMPLE_CHARS = 40_000  # the sample is drawn from labelled documents of at most so many characters: with SAMPLE it bounds what the driver holds
 DECAY = 0.6
-SPAN = 24  # letters of a word compared at once; longer words by overlapping stretches
+SPAN = 24  # letters of a word compared at once, its beginning included; longer words by stretches
+STRIDE = 6  # from stretch to stretch: what lies within SPAN - STRIDE letters is whole in one
+BEGIN = "^"  # marks where a word begins; no word holds it
 TOXIC_LANDMARKS, PLAIN_LANDMARKS = 96, 48
 NEGATIVES = 12_000
 SURE = 3.0  # nats of evidence for a landmark, beyond those that the number of words asks for
 ROUNDS = 4
 PURE = 0.1  # most odds, against those of toxic documents, at which plain ones hold a toxic word
 NEAR = 0.3  # least decision value of a word taken for a document's toxic one
+WARNED = -1.0  # least decision value of a plain document's highest word that is trained on once more
 THRESHOLD = 0.7
 CACHE = 1 << 18
 TOGETHER = 1 << 20  # characters whose words are in memory at once
-FLOOR = -1.0  # decision values below count as this, and so does what is no word
 #: ASCII characters that are no letter and no white space: they go before words are cut.
 _OUTSIDE = bytes(i for i in range(128) if not chr(i).isalpha() and not chr(i).isspace())
 _SPELT = re.compile(r"(?<!\S)(?:\S\s){3,}\S(?!\S)")
@@ -61,10 +63,10 @@ def _grid(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _codes(words: list[str], n: int) -> np.ndarray:
-    """Subsequences of words of n letters, each as a number below 2**15: letters are 1..26, others 27..31."""
+    """Subsequences of words of n letters, each as a number below 2**15: letters are 1..26, others 27..31, the beginning 0."""
     at, _ = _grid(n)
     points = np.array(words, dtype=f"<U{n}").view(np.uint32).reshape(len(words), n).astype(np.int32)
-    c = np.where((points >= 97) & (points < 123), points - 96, 27 + points % 5)
+    c = np.where((points >= 97) & (points < 123), points - 96, np.where(points == ord(BEGIN), 0, 27 + points % 5))
     return (c[:, at[:, 0]] << 10) | (c[:, at[:, 1]] << 5) | c[:, at[:, 2]]
 
 
@@ -129,8 +131,14 @@ def _squared_hinge(x: np.ndarray, y: np.ndarray, cost: np.ndarray, ridge: float
     return w[:-1], w[-1]
 
 
-#: Word values by model, kept by a worker process from task to task.
-_SHARED: dict[int, dict[str, float]] = {}
+def stretches(word: str) -> list[str]:
+    """A word of three letters and more as what is compared at once: itself, its beginning marked, or overlapping parts of it."""
+    word = BEGIN + word
+    return [word[s : s + SPAN] for s in range(0, max(1, len(word) - SPAN + STRIDE), STRIDE)]
+
+
+#: Word bounds and values by model, kept by a worker process from task to task; the last model's alone.
+_SHARED: dict[int, tuple[dict[str, float], dict[str, float]]] = {}
 
 
 class Model:
@@ -138,35 +146,45 @@ class Model:
 
     def __init__(self, table: np.ndarray, bias: float, slope: float, offset: float):
         self.table, self.bias, self.slope, self.offset = table, bias, slope, offset
-        self.cache = _SHARED.setdefault(hash((table.tobytes(), bias)), {})
+        key = hash((table.tobytes(), bias))
+        if key not in _SHARED:
+            _SHARED.clear()
+            _SHARED[key] = {}, {}
+        self.bounds, self.exact = _SHARED[key]
 
     def __reduce__(self) -> tuple:
         return Model, (self.table, self.bias, self.slope, self.offset)
 
-    def raw(self, words: list[str]) -> np.ndarray:
-        """Decision values of words of three letters and more."""
-        out = np.full(len(words), FLOOR)
+    def _each(self, words: list[str], value) -> list[float]:  # noqa: ANN001
+        """The highest value among each word's stretches; value(stretches of n letters) gives theirs."""
+        out = np.full(len(words), -np.inf)
         by_size: dict[int, list[tuple[int, str]]] = {}
         for i, w in enumerate(words):
-            for s in range(0, max(1, len(w) - SPAN // 2), SPAN // 2):
-                part = w[s : s + SPAN]
-                if len(part) >= 3:
-                    by_size.setdefault(len(part), []).append((i, part))
+            for part in stretches(w):
+                by_size.setdefault(len(part), []).append((i, part))
         for n, of in by_size.items():
             step = max(1, 500_000 // len(_grid(n)[0]))
             for s in range(0, len(of), step):
                 some = of[s : s + step]
-                weight = _grid(n)[1]
-                sums = self.table[_codes([w for _, w in some], n)] @ weight
-                # repeats within a word only raise its norm: most words cannot come above the floor
-                at = np.flatnonzero(sums / np.sqrt(weight @ weight) + self.bias > FLOOR)
-                if len(at):
-                    norms = features([some[i][1] for i in at], n)[2]
-                    np.maximum.at(out, [some[i][0] for i in at], sums[at] / norms + self.bias)
-        return out
+                np.maximum.at(out, [i for i, _ in some], value([w for _, w in some], n))
+        return out.tolist()
+
+    def _bound(self, parts: list[str], n: int) -> np.ndarray:
+        """No less than the decision values: a vector's norm is no less than that of distinct weights and no more than their sum."""
+        weight = _grid(n)[1]
+        sums = self.table[_codes(parts, n)] @ weight
+        return np.where(sums > 0, sums / np.sqrt(weight @ weight), sums / weight.sum()) + self.bias
+
+    def _value(self, parts: list[str], n: int) -> np.ndarray:
+        codes, weight, norms = features(parts, n)
+        return self.table[codes] @ weight[0] / norms + self.bias
+
+    def raw(self, words: list[str]) -> np.ndarray:
+        """Decision values of words of three letters and more."""
+        return np.array(self._each(words, self._value))
 
     def values(self, texts: Iterable[str]) -> np.ndarray:
-        """The highest decision value among each text's words."""
+        """The highest decision value among each text's words of three letters and more; the bias, which is that of no subsequence at all, without any."""
         out, some, size = [], [], 0
         for t in texts:
             some.append(t)
@@ -177,12 +195,24 @@ class Model:
         return np.concatenate([*out, self._values(some)])
 
     def _values(self, texts: list[str]) -> np.ndarray:
-        split = [words_of(t) for t in texts]
-        if len(self.cache) > CACHE:
-            self.cache.clear()
-        new = sorted({w for words in split for w in words} - self.cache.keys())
-        self.cache.update(zip(new, self.raw(new).tolist(), strict=True))
-        return np.array([max(map(self.cache.__getitem__, words), default=FLOOR) for words in split])
+        split = [{w for w in words_of(t) if len(w) >= 3} for t in texts]
+        if len(self.bounds) > CACHE:
+            self.bounds.clear()
+            self.exact.clear()
+        new = sorted(set().union(*split) - self.bounds.keys())
+        self.bounds.update(zip(new, self._each(new, self._bound), strict=True))
+        # words by falling bound; a text is done when its next word's bound is no higher than its best value
+        queues = [sorted(ws, key=self.bounds.__getitem__) for ws in split]
+        best = np.full(len(texts), -np.inf)
+        todo = list(range(len(texts)))
+        while todo:
+            asked = {i: [queues[i].pop() for _ in range(min(4, len(queues[i])))] for i in todo}
+            new = sorted({w for ws in asked.values() for w in ws} - self.exact.keys())
+            self.exact.update(zip(new, self.raw(new).tolist(), strict=True))
+            for i, ws in asked.items():
+                best[i] = max([best[i], *map(self.exact.__getitem__, ws)])
+            todo = [i for i in todo if queues[i] and self.bounds[queues[i][-1]] > best[i]]
+        return np.where(np.isfinite(best), best, self.bias)
 
     def scores(self, texts: Iterable[str]) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.values(texts) * self.slope + self.offset, -50, 50)))
@@ -191,7 +221,7 @@ class Model:
 def fit(texts: list[str], toxic: list[int]) -> Model:
     """A model from labelled texts. Without both labels: one that scores every text by the share of toxic ones, nearly."""
     y = np.array(toxic)
-    bags = [sorted({p for p in words_of(t) if 3 <= len(p) <= SPAN}) for t in texts]
+    bags = [sorted({p for p in words_of(t) if 3 <= len(p) < SPAN}) for t in texts]
     if not len(y) or y.min() == y.max():
         return Model(np.zeros(1 << 15), 0.0, 0.0, 10.0 if len(y) and y.min() else -10.0)
     yes, no = Counter(), Counter()
@@ -209,11 +239,12 @@ def fit(texts: list[str], toxic: list[int]) -> Model:
     calm = sorted(no, key=lambda w: (-no[w], w))
     hot = hot[:TOXIC_LANDMARKS] or sorted(yes, key=lambda w: (-gain(w), w))[:4]
     landmarks = [*hot, *[w for w in calm if w not in set(hot)][:PLAIN_LANDMARKS]]
-    marks = dense(landmarks)
+    marked = lambda words: [BEGIN + w for w in words]
+    marks = dense(marked(landmarks))
     values, vectors = np.linalg.eigh((marks @ marks.T).astype(np.float64))
     good = values > 1e-6
     half = vectors[:, good] / np.sqrt(values[good])
-    mapped = lambda words: kernel(words, marks) @ half
+    mapped = lambda words: kernel(marked(words), marks) @ half
     # plain words: the most frequent half, and a spread over the rest
     rest = sorted(calm[NEGATIVES // 2 :], key=lambda w: hash_of(w))[: NEGATIVES // 2]
     plain = [*calm[: NEGATIVES // 2], *rest]
@@ -237,10 +268,9 @@ def fit(texts: list[str], toxic: list[int]) -> Model:
                 top = max(mine, key=value.__getitem__)
                 if t and value[top] > NEAR:
                     known.add(top)
-                elif not t and value[top] > FLOOR:
+                elif not t and value[top] > WARNED:
                     hard[top] += 1
     x1 = np.stack([model.values(texts), np.ones(len(y))], axis=1)
-    model.cache.clear()
     # logistic curve on the documents' values
     t = np.where(y == 1, (n_yes + 1) / (n_yes + 2), 1 / (n_no + 2))
     ridge = np.array([1e-3, 1e-4])
@@ -267,19 +297,19 @@ def held_out(doc_id: Column) -> Column:
 
 def fit_on(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     """A model from a bounded sample, in hash order, of labelled documents outside the held-out fold."""
+    short = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).filter(F.char_length("text") <= SAMPLE_CHARS)
     truth = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("toxic").alias("toxic"))
     chosen = truth.filter(~held_out(F.col("doc_id"))).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).filter(F.char_length("text") <= SAMPLE_CHARS)
-    rows = texts.join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "toxic").toPandas().sort_values(["doc_id", "text"])
-    rows = rows.drop_duplicates("doc_id")
+    # of rows that repeat a doc_id one text: what reaches the driver is SAMPLE texts of SAMPLE_CHARS
+    rows = short.join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text")).toPandas().sort_values("doc_id")
     return fit(list(rows["text"]), [int(t) for t in rows["toxic"]])
 
 
 def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, held_out, score, predicted for every row: whole texts, nothing but the text.
 
-    Null and empty texts and texts without a word of three letters score lowest. Rows that repeat a doc_id score each; null doc_id
-    is not held out; an empty table gives an empty result.
+    Null and empty texts and texts without a word of three letters score as no subsequence does, by the bias. Rows that repeat a doc_id score each; null doc_id
+    is not held out; an empty table gives an empty result; other columns are not read. Texts of any length are scored whole, in time by their length.
     """
 
     def scored(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
@@ -292,7 +322,7 @@ def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFr
 
 
 def clean_only(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
-    """The documents of docs that the model does not reject; columns as in docs."""
+    """The documents of docs that the model does not reject; columns as in docs. Each row is judged alone, null as empty; repeated rows stay or go together."""
 
     def clean(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         for batch in batches:
