@@ -9,7 +9,8 @@ from voxtable.functions.binding import let
 
 #: Languages scored by character; the others are scored by word.
 BY_CHARACTER = ("zh", "ja", "ko")
-_FIRST = 0x4E00  # some 20,000 code points from here on have no casing and no surrogates
+_FEW = 200  # so many words fit between a blank and the end of one byte
+_FIRST = 0x10000  # beyond them: a million code points without surrogates
 
 
 def words(text: Column) -> Column:
@@ -17,14 +18,18 @@ def words(text: Column) -> Column:
     return F.filter(F.split(F.trim(text), r"\s+"), lambda w: w != "")
 
 
-def _one_point_each(tokens: Column, of: Column) -> Column:
-    return F.array_join(F.transform(tokens, lambda w: F.decode(F.unhex(F.lpad(F.hex(F.array_position(of, w) + F.lit(_FIRST)), 4, "0")), "UTF-16BE")), "")
+def one_point_each(tokens: Column, of: Column) -> Column:
+    """A string with one character for each word: its place among the distinct words given."""
+    at = lambda w: F.array_position(of, w)
+    few = F.array_join(F.transform(tokens, lambda w: F.char(at(w) + 32)), "")
+    many = F.array_join(F.transform(tokens, lambda w: F.decode(F.unhex(F.lpad(F.hex(at(w) + _FIRST), 8, "0")), "UTF-32")), "")
+    return F.when(F.size(of) <= _FEW, few).otherwise(many)
 
 
 def word_edits(ref: Column, hyp: Column) -> Column:
     """Substitutions, deletions and insertions between word sequences."""
     both = F.struct(words(ref).alias("r"), words(hyp).alias("h"))
-    return let(both, lambda b: let(F.array_distinct(F.concat(b["r"], b["h"])), lambda known: F.levenshtein(_one_point_each(b["r"], known), _one_point_each(b["h"], known))))
+    return let(both, lambda b: let(F.array_distinct(F.concat(b["r"], b["h"])), lambda known: F.levenshtein(one_point_each(b["r"], known), one_point_each(b["h"], known))))
 
 
 def char_edits(ref: Column, hyp: Column) -> Column:
@@ -46,17 +51,19 @@ def unit_of(lang: Column) -> Column:
 # DuckDB counts bytes: on its side words and characters are first coded as ASCII.
 
 
+def _sql_coded_edits(ref: str, hyp: str) -> str:
+    """Distance of two lists, what lambdas capture bound once; at most 94 distinct items a pair."""
+    coded = lambda x: f"array_to_string(list_transform({x}, lambda w: chr((32 + list_position(k, w))::INT)), '')"
+    return f"list_transform([{{'r': {ref}, 'h': {hyp}}}], lambda p: list_transform([list_distinct(list_concat(p.r, p.h))], lambda k: levenshtein({coded('p.r')}, {coded('p.h')}))[1])[1]"
+
+
 def sql_word_edits(ref: str, hyp: str) -> str:
-    """DuckDB form over two SQL expressions; at most 94 distinct words a pair."""
-    known = f"list_distinct(list_concat({sql_words(ref)}, {sql_words(hyp)}))"
-    coded = lambda x: f"array_to_string(list_transform({sql_words(x)}, lambda w: chr((32 + list_position({known}, w))::INT)), '')"
-    return f"levenshtein({coded(ref)}, {coded(hyp)})"
+    """DuckDB form over two SQL expressions."""
+    return _sql_coded_edits(sql_words(ref), sql_words(hyp))
 
 
 def sql_char_edits(ref: str, hyp: str) -> str:
-    known = f"list_distinct(list_concat(string_split({ref}, ''), string_split({hyp}, '')))"
-    coded = lambda x: f"array_to_string(list_transform(string_split({x}, ''), lambda w: chr((32 + list_position({known}, w))::INT)), '')"
-    return f"levenshtein({coded(ref)}, {coded(hyp)})"
+    return _sql_coded_edits(f"string_split({ref}, '')", f"string_split({hyp}, '')")
 
 
 def sql_words(text: str) -> str:

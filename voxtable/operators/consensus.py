@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from voxtable.functions.binding import let
 from voxtable.functions.hashing import draw
-from voxtable.functions.units import word_edits, words
+from voxtable.functions.units import one_point_each, words
 
 #: Recogniser stand-ins: chances in 10,000 of dropping, reversing and doubling a word.
 RECOGNISERS = {"asr_1": (100, 150, 50), "asr_2": (300, 300, 100), "asr_3": (800, 800, 200)}
@@ -29,8 +29,8 @@ def corrupt(text: F.Column, key: F.Column, system: str, rates: tuple[int, int, i
     drop, swap, extra = rates
 
     def one(w: F.Column, i: F.Column) -> F.Column:
-        u = F.pmod(draw(system, key, i), F.lit(10_000))
-        return F.when(u < drop, F.lit("")).when(u < drop + swap, F.reverse(w)).when(u < drop + swap + extra, F.concat(w, F.lit(" uh"))).otherwise(w)
+        changed = lambda u: F.when(u < drop, F.lit("")).when(u < drop + swap, F.reverse(w)).when(u < drop + swap + extra, F.concat(w, F.lit(" uh"))).otherwise(w)
+        return let(F.pmod(draw(system, key, i), F.lit(10_000)), changed)
 
     return F.array_join(F.filter(F.transform(words(text), one), lambda w: w != ""), " ")
 
@@ -42,32 +42,62 @@ def transcribe(rows: DataFrame, systems: dict[str, tuple[int, int, int]] | None
     return rows.select("utt_id", F.col("text").alias("ref"), F.explode(each).alias("t")).select("utt_id", "ref", "t.*")
 
 
-def pairwise(transcripts: DataFrame, direction: str = "first") -> DataFrame:
-    """utt_id, s1, s2, rate: word error of each pair of systems, within a row for each utterance: no self-join.
+def _packed(transcripts: DataFrame, direction: str) -> DataFrame:
+    """utt_id, ts (system, hyp by system), ps (s1, s2, rate): all pairs of an utterance's transcripts in one row, its words coded once.
 
-    The reference is the first system ("first"), both in turn ("ordered"), or both at once ("symmetric").
+    The reference of a rate is the first system ("first"), both in turn ("ordered"), or both at once ("symmetric").
     """
-    packed = transcripts.groupBy("utt_id").agg(F.array_sort(F.collect_list(F.struct("system", "hyp"))).alias("ts"))
-    pairs = F.flatten(F.transform("ts", lambda a: F.transform(F.filter(F.col("ts"), lambda b: b["system"] > a["system"]), lambda b: F.struct(a.alias("a"), b.alias("b")))))
-    rows = packed.select("utt_id", F.explode(pairs).alias("p")).select("utt_id", F.col("p.a.system").alias("s1"), F.col("p.b.system").alias("s2"), F.col("p.a.hyp").alias("h1"), F.col("p.b.hyp").alias("h2"))
-    rows = rows.select("utt_id", "s1", "s2", F.size(words(F.col("h1"))).alias("n"), F.size(words(F.col("h2"))).alias("m"), word_edits(F.col("h1"), F.col("h2")).alias("d"))
-    n, m, d = F.col("n"), F.col("m"), F.col("d")
-    rate = {"first": F.try_divide(d, n), "symmetric": F.try_divide(2 * d, n + m), "ordered": (F.try_divide(d, n) + F.try_divide(d, m)) / 2}[direction]
-    return rows.select("utt_id", "s1", "s2", rate.cast("double").alias("rate"))
+    rows = transcripts.groupBy("utt_id").agg(F.array_sort(F.collect_list(F.struct("system", "hyp"))).alias("ts"))
+
+    def rate(a: F.Column, b: F.Column) -> F.Column:
+        def of(d: F.Column) -> F.Column:
+            n, m = a["n"], b["n"]
+            out = {"first": F.try_divide(d, n), "symmetric": F.try_divide(2 * d, n + m), "ordered": (F.try_divide(d, n) + F.try_divide(d, m)) / 2}[direction]
+            return F.struct(a["system"].alias("s1"), b["system"].alias("s2"), out.cast("double").alias("rate"))
+
+        return let(F.levenshtein(a["code"], b["code"]), of)
+
+    def coded(ws: F.Column) -> F.Column:
+        one = lambda known: F.transform(ws, lambda w: F.struct(w["system"].alias("system"), one_point_each(w["ws"], known).alias("code"), F.size(w["ws"]).alias("n")))
+        return let(F.array_distinct(F.flatten(F.transform(ws, lambda w: w["ws"]))), one)
+
+    split = F.transform("ts", lambda t: F.struct(t["system"].alias("system"), words(t["hyp"]).alias("ws")))
+    pairs = lambda cs: F.flatten(F.transform(cs, lambda a: F.transform(F.filter(cs, lambda b: b["system"] > a["system"]), lambda b: rate(a, b))))
+    return rows.select("utt_id", "ts", let(split, lambda ws: let(coded(ws), pairs)).alias("ps"))
+
+
+def pairwise(transcripts: DataFrame, direction: str = "first") -> DataFrame:
+    """utt_id, s1, s2, rate: word error of each pair of systems, within a row for each utterance: no self-join."""
+    return _packed(transcripts, direction).select("utt_id", F.explode("ps").alias("p")).select("utt_id", "p.*")
+
+
+def _mean(rates: F.Column) -> F.Column:
+    """Mean of the rates that are not null; null without any."""
+    return let(F.array_compact(rates), lambda r: F.try_divide(F.aggregate(r, F.lit(0.0), lambda s, x: s + x), F.size(r)))
 
 
 def select(transcripts: DataFrame, threshold: float = THRESHOLD, scope: str = "utterance", direction: str = "first", pick: str = "all") -> DataFrame:
     """Transcripts whose mean pairwise error is below the threshold (strictly).
 
     scope "utterance": one mean of all pairs; "transcript": a system against the others. pick "all", "medoid" (least mean error to the
-    others, then system name) or "priority" (system name).
+    others, then system name) or "priority" (system name). One shuffle, by utterance; what lambdas capture is bound once.
     """
-    pairs = pairwise(transcripts, direction)
-    own = pairs.select("utt_id", F.explode(F.array("s1", "s2")).alias("system"), "rate").groupBy("utt_id", "system").agg(F.avg("rate").alias("own"))
-    whole = pairs.groupBy("utt_id").agg(F.avg("rate").alias("mean"))
-    rows = transcripts.join(own, ["utt_id", "system"]).join(whole, "utt_id")
-    rows = rows.filter(F.col("mean" if scope == "utterance" else "own") < threshold)
-    if pick != "all":
-        order = [F.round("own", 9), F.col("system")] if pick == "medoid" else [F.col("system")]
-        rows = rows.withColumn("rn", F.row_number().over(Window.partitionBy("utt_id").orderBy(*order))).filter("rn = 1").drop("rn")
-    return rows.select("utt_id", "system", "hyp", F.col("mean" if scope == "utterance" else "own").alias("error"))
+    rates = lambda ps: F.transform(ps, lambda p: p["rate"])
+
+    def ranked(ps: F.Column) -> F.Column:
+        own = lambda t: _mean(rates(F.filter(ps, lambda p: (p["s1"] == t["system"]) | (p["s2"] == t["system"]))))
+
+        def with_mean(mean: F.Column) -> F.Column:
+            error = (lambda o: mean) if scope == "utterance" else (lambda o: o)
+            one = lambda t, o: F.struct(o.isNull().alias("none"), F.round(o, 9).alias("near"), t["system"].alias("system"), t["hyp"].alias("hyp"), error(o).alias("error"))
+            return F.filter(F.transform("ts", lambda t: let(own(t), lambda o: one(t, o))), lambda r: r["error"] < threshold)
+
+        return let(_mean(rates(ps)), with_mean)
+
+    rs = let(F.col("ps"), ranked)
+    if pick == "medoid":
+        rs = F.slice(F.array_sort(rs), 1, 1)
+    elif pick == "priority":
+        rs = F.slice(F.array_sort(F.transform(rs, lambda r: F.struct(r["system"].alias("system"), r["hyp"].alias("hyp"), r["error"].alias("error")))), 1, 1)
+    rows = _packed(transcripts, direction).select("utt_id", F.explode(rs).alias("t"))
+    return rows.select("utt_id", "t.system", "t.hyp", "t.error")

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from voxtable.functions.binding import let
 from voxtable.functions.hashing import draw, uniform
 
 END = "<|endofprompt|>"
@@ -41,8 +42,8 @@ def inject(words: Column, key: Column, seed: str = "tag") -> Column:
     """Hashed tags for words: one in ten is followed by a burst, one in ten emphasised."""
 
     def one(w: Column, i: Column) -> Column:
-        u = F.pmod(draw(seed, key, i), F.lit(100))
-        return F.when(u < 5, F.concat(w, F.lit(f" [{BURSTS[0]}]"))).when(u < 10, F.concat(w, F.lit(f" [{BURSTS[1]}]"))).when(u < 20, F.concat(F.lit("<strong>"), w, F.lit("</strong>"))).otherwise(w)
+        tagged = lambda u: F.when(u < 5, F.concat(w, F.lit(f" [{BURSTS[0]}]"))).when(u < 10, F.concat(w, F.lit(f" [{BURSTS[1]}]"))).when(u < 20, F.concat(F.lit("<strong>"), w, F.lit("</strong>"))).otherwise(w)
+        return let(F.pmod(draw(seed, key, i), F.lit(100)), tagged)
 
     return F.array_join(F.transform(words, one), " ")
 

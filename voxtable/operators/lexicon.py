@@ -43,6 +43,23 @@ def load(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("symbol string, lang string, phones string").option("header", True).csv(path)
 
 
+def placed(rows: DataFrame, lexicon: DataFrame, *keep: str) -> DataFrame:
+    """kept columns, pos, symbol, pick (the smallest reading of any, the stand-in predictor's), n_readings: every symbol at its place."""
+    readings = lexicon.groupBy("symbol").agg(F.min("phones").alias("pick"), F.max("n_readings").alias("n_readings"))
+    return rows.select(*keep, F.posexplode(symbols(F.col("text"))).alias("pos", "symbol")).join(readings, "symbol", "left")
+
+
+def replaced(which: Column) -> Column:
+    """Whether a placed symbol gives way to its phones: "mono" where it has one reading, "all" where it has any."""
+    return F.col("pick").isNotNull() & ((which == "all") | (F.col("n_readings") == 1))
+
+
+def piece(shown: Column, render: Column) -> Column:
+    """Phones between slashes, alone ("phones") or behind the symbol shown ("both")."""
+    phones = F.concat(F.lit("/"), F.col("pick"), F.lit("/"))
+    return F.when(render == "both", F.concat(shown, phones)).otherwise(phones)
+
+
 def inpaint(rows: DataFrame, lexicon: DataFrame, which: str = "mono", render: str = "phones", rate: float = 1.0, seed: str = "inpaint", noise: float = 0.0) -> DataFrame:
     """utt_id, text, lang -> utt_id, rendered, n_replaced: symbols replaced by (or followed by) their phones.
 
@@ -51,15 +68,12 @@ def inpaint(rows: DataFrame, lexicon: DataFrame, which: str = "mono", render: st
     symbol is swapped for a different-sounding one (its letters reversed) while the right phones stay.
     The lexicon meets exploded symbols by an equi-join; Spark broadcasts it only while it is small.
     """
-    readings = lexicon.groupBy("symbol").agg(F.min("phones").alias("phones"), F.max("n_readings").alias("n_readings"))
-    if which == "mono":
-        readings = readings.filter("n_readings = 1")
-    items = rows.select("utt_id", F.posexplode(symbols(F.col("text"))).alias("pos", "symbol")).join(readings, "symbol", "left")
-    chosen = F.col("phones").isNotNull() & (F.pmod(draw(seed, F.col("utt_id"), F.col("pos")), F.lit(10_000)) < int(rate * 10_000))
-    swapped = F.pmod(draw(seed + ":noise", F.col("utt_id"), F.col("pos")), F.lit(10_000)) < int(noise * 10_000)
+    items = placed(rows, lexicon, "utt_id")
+    share = lambda name, part: F.lit(part >= 1) if part <= 0 or part >= 1 else F.pmod(draw(name, F.col("utt_id"), F.col("pos")), F.lit(10_000)) < int(part * 10_000)
+    chosen = replaced(F.lit(which)) & share(seed, rate)
+    swapped = share(seed + ":noise", noise)
     shown = F.when(swapped & (F.reverse("symbol") != F.col("symbol")), F.reverse("symbol")).otherwise(F.col("symbol"))
-    piece = F.concat(F.lit("/"), F.col("phones"), F.lit("/"))
-    value = F.when(chosen, piece if render == "phones" else F.concat(shown, piece)).otherwise(F.col("symbol"))
+    value = F.when(chosen, piece(shown, F.lit(render))).otherwise(F.col("symbol"))
     packed = items.withColumn("value", value).withColumn("hit", chosen.cast("int")).groupBy("utt_id").agg(F.array_sort(F.collect_list(F.struct("pos", "value"))).alias("vs"), F.sum("hit").alias("n_replaced"))
     return packed.select("utt_id", F.array_join(F.transform("vs", lambda v: v["value"]), " ").alias("rendered"), "n_replaced")
 

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from voxtable.functions.hashing import sql_draw
+from voxtable.functions.shared import stored
 from voxtable.functions.units import sql_word_edits, sql_words, words
 from voxtable.operators import consensus, lenratio, punct, segment, signal
 from voxtable.registry import query
@@ -28,13 +29,27 @@ def _segmented(spark: SparkSession, sf_dir: str) -> DataFrame:
     return segment.with_segments(segment.drop_events(_frames(spark, sf_dir), ("error",)))
 
 
-def utterances(spark: SparkSession, sf_dir: str, n_words: int = 40) -> DataFrame:
-    """utt_id, text, lang: the first words of each document, on one line."""
+def texts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """utt_id, text, lang: each document's whole text, its words between single blanks."""
     docs = load(spark, sf_dir, "documents")
-    return docs.select(F.col("doc_id").alias("utt_id"), F.array_join(F.slice(words(F.col("text")), 1, n_words), " ").alias("text"), "lang")
+    return docs.select(F.col("doc_id").alias("utt_id"), F.array_join(words(F.col("text")), " ").alias("text"), "lang")
 
 
-UTT = f"SELECT doc_id AS utt_id, array_to_string(({sql_words('text')})[1:40], ' ') AS text, lang FROM documents"
+TEXTS = f"SELECT doc_id AS utt_id, array_to_string({sql_words('text')}, ' ') AS text, lang FROM documents"
+SPOKEN = 40  # words of an utterance at most
+PLACES = 1_000_000  # utterances of a document are numbered below it
+
+
+def utterances(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """utt_id, doc_id, text, lang: each document's whole text as utterances of at most SPOKEN words, one for a text without words."""
+    docs = load(spark, sf_dir, "documents").select("doc_id", "lang", words(F.col("text")).alias("ws"))
+    last = F.greatest(F.ceil(F.size("ws") / SPOKEN), F.lit(1)).cast("int") - 1
+    pieces = docs.select("doc_id", "lang", F.posexplode(F.transform(F.sequence(F.lit(0), last), lambda i: F.array_join(F.slice(F.col("ws"), i * SPOKEN + 1, F.lit(SPOKEN)), " "))).alias("piece", "text"))
+    return pieces.select((F.col("doc_id") * PLACES + F.col("piece")).alias("utt_id"), "doc_id", "text", "lang")
+
+
+UTT = f"""SELECT doc_id * {PLACES} + piece AS utt_id, doc_id, array_to_string(ws[piece * {SPOKEN} + 1 : piece * {SPOKEN} + {SPOKEN}], ' ') AS text, lang
+    FROM (SELECT doc_id, lang, ws, unnest(range(greatest(ceil(len(ws) / {SPOKEN})::BIGINT, 1))) AS piece FROM (SELECT doc_id, lang, {sql_words('text')} AS ws FROM documents))"""
 
 
 @query("a1_segments", SEG + f" SELECT rec_id, seg_id, min(us) AS us0, max(us) AS us1, count(*) AS n_frames, {DUR} AS dur_s FROM sg GROUP BY rec_id, seg_id")
@@ -129,11 +144,11 @@ def _votes(lang: str) -> str:
 
 @query(
     "a3_langid",
-    f"WITH u AS ({UTT}), v AS (SELECT utt_id, lang, " + ", ".join(f"{_votes(x)} AS {x}" for x in consensus.STOP_WORDS) + """ FROM u)
+    f"WITH u AS ({TEXTS}), v AS (SELECT utt_id, lang, " + ", ".join(f"{_votes(x)} AS {x}" for x in consensus.STOP_WORDS) + """ FROM u)
     SELECT lang, guess, count(*) AS n FROM (SELECT lang, CASE WHEN greatest(de, en, es, fr) = 0 THEN NULL WHEN de = greatest(de, en, es, fr) THEN 'de' WHEN en = greatest(de, en, es, fr) THEN 'en' WHEN es = greatest(de, en, es, fr) THEN 'es' ELSE 'fr' END AS guess FROM v) GROUP BY lang, guess""",
 )
 def a3_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return consensus.identify_language(utterances(spark, sf_dir)).groupBy("lang", "guess").count().withColumnRenamed("count", "n")
+    return consensus.identify_language(texts(spark, sf_dir)).groupBy("lang", "guess").count().withColumnRenamed("count", "n")
 
 
 def sql_corrupt(systems: dict[str, tuple[int, int, int]], rows: str) -> str:
@@ -180,15 +195,15 @@ def a3_medoid(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def sql_adjusted(text: str, key: str) -> str:
-    ws = sql_words(text)
     gap = "(" + sql_draw("'gap'", key, "i - 1") + " % 600)"
     mark, bare = r"regexp_extract(w, '([,;:.?!]?)$', 1)", r"regexp_replace(w, '[,;:.?!]$', '')"
-    return f"array_to_string(list_transform({ws}, lambda w, i: {bare} || CASE WHEN i = len({ws}) THEN {mark} WHEN {mark} = '' AND {gap} >= 300 THEN ',' WHEN {gap} <= 50 THEN '' ELSE {mark} END), ' ')"
+    one = f"{bare} || CASE WHEN i = len(ws) THEN {mark} WHEN {mark} = '' AND {gap} >= 300 THEN ',' WHEN {gap} <= 50 THEN '' ELSE {mark} END"
+    return f"list_transform([{sql_words(text)}], lambda ws: array_to_string(list_transform(ws, lambda w, i: {one}), ' '))[1]"
 
 
-@query("a4_punct", f"WITH u AS ({UTT}) SELECT utt_id, md5({sql_adjusted('text', 'utt_id')}) AS text FROM u")
+@query("a4_punct", f"WITH u AS ({TEXTS}) SELECT utt_id, md5({sql_adjusted('text', 'utt_id')}) AS text FROM u")
 def a4_punct(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return punct.adjust(utterances(spark, sf_dir)).select("utt_id", F.md5("text").alias("text"))
+    return punct.adjust(texts(spark, sf_dir)).select("utt_id", F.md5("text").alias("text"))
 
 
 def _volume(peak: str) -> str:
@@ -245,13 +260,17 @@ def a6_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _kept(lenratio.trim(pairs(spark, sf_dir), method="sketch"))
 
 
-def run(rows: DataFrame, steps: tuple[str, ...] = ("asr", "punct", "ratio")) -> dict[str, DataFrame]:
+STEPS = ("asr", "punct", "ratio")
+
+
+def run(rows: DataFrame, steps: tuple[str, ...] = STEPS) -> dict[str, DataFrame]:
     """Text side of the pipeline over utterances (utt_id, text, lang), by step; a step that is left out passes its input on."""
     out = {"input": rows}
     now = rows
     if "asr" in steps:
         picked = consensus.select(consensus.transcribe(now), pick="medoid")
-        now = now.select("utt_id", "lang").join(picked.select("utt_id", F.col("hyp").alias("text")), "utt_id")
+        # the transcripts are wanted by every later step: a table ends their lineage
+        now = stored(now.select("utt_id", "lang").join(picked.select("utt_id", F.col("hyp").alias("text")), "utt_id"))
     out["asr"] = now
     if "punct" in steps:
         now = punct.adjust(now)
@@ -263,16 +282,56 @@ def run(rows: DataFrame, steps: tuple[str, ...] = ("asr", "punct", "ratio")) ->
     return out
 
 
+def _counts(frames_by_step: dict[str, DataFrame]) -> DataFrame:
+    ledger = None
+    for step, rows in frames_by_step.items():
+        one = rows.agg(F.count(F.lit(1)).alias("n")).select(F.lit(step).alias("step"), "n")
+        ledger = one if ledger is None else ledger.unionAll(one)
+    return ledger
+
+
 LEDGER = _pairs_sql() + f""", a AS (SELECT utt_id, system, hyp AS text FROM (SELECT t.utt_id, t.system, t.hyp, row_number() OVER (PARTITION BY t.utt_id ORDER BY round(own, 9), t.system) AS r FROM t JOIN o ON t.utt_id = o.utt_id AND t.system = o.system JOIN m ON m.utt_id = t.utt_id WHERE mean < 0.15) WHERE r = 1),
     b AS (SELECT utt_id, {sql_adjusted('text', 'utt_id')} AS text FROM a), c AS (SELECT utt_id, length(text) / len({sql_words('text')})::DOUBLE AS ratio FROM b WHERE len({sql_words('text')}) > 0),
     d AS (SELECT row_number() OVER (ORDER BY ratio, utt_id) AS rk, count(*) OVER () AS n FROM c)
-    SELECT 'input' AS step, (SELECT count(*) FROM documents) AS n UNION ALL SELECT 'asr', count(*) FROM a UNION ALL SELECT 'punct', count(*) FROM b UNION ALL SELECT 'ratio', count(*) FROM d WHERE rk > floor(n * 0.01::DOUBLE) AND rk <= n - floor(n * 0.05::DOUBLE)"""
+    SELECT 'input' AS step, (SELECT count(*) FROM ({UTT})) AS n UNION ALL SELECT 'asr', count(*) FROM a UNION ALL SELECT 'punct', count(*) FROM b UNION ALL SELECT 'ratio', count(*) FROM d WHERE rk > floor(n * 0.01::DOUBLE) AND rk <= n - floor(n * 0.05::DOUBLE)"""
 
 
 @query("a7_ledger", LEDGER)
 def a7_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
-    ledger = None
-    for step, rows in run(utterances(spark, sf_dir)).items():
-        one = rows.agg(F.count(F.lit(1)).alias("n")).select(F.lit(step).alias("step"), "n")
-        ledger = one if ledger is None else ledger.unionAll(one)
-    return ledger
+    return _counts(run(utterances(spark, sf_dir).drop("doc_id"), STEPS))
+
+
+YIELD = f"""SELECT 'segments' AS step, count(*) AS n FROM ({PACKED} SELECT * FROM pk) UNION ALL SELECT 'intact', count(*) FROM ({PACKED} SELECT * FROM pk WHERE NOT coalesce(samples[1] > 100 OR samples[-1] > 100, false))
+  UNION ALL SELECT 'volume', count(*) FROM ({PACKED} SELECT * FROM pk WHERE NOT coalesce(samples[1] > 100 OR samples[-1] > 100, false) AND list_max(samples) > 0) UNION ALL SELECT * FROM ({LEDGER})"""
+
+
+def all_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    packed = signal.pack_samples(_segmented(spark, sf_dir))
+    intact = signal.screen_truncated(packed).filter(~F.coalesce("truncated", F.lit(False)))
+    audio = {"segments": packed, "intact": intact, "volume": signal.normalize_volume(intact, "max").filter(~F.col("vol_degenerate"))}
+    return _counts(audio).unionAll(_counts(run(utterances(spark, sf_dir).drop("doc_id"))))
+
+
+_TRIMMED = "SELECT n - floor(n * 0.01::DOUBLE)::BIGINT - floor(n * 0.05::DOUBLE)::BIGINT FROM (SELECT count(*) AS n FROM ({}) WHERE len({}) > 0)"
+
+
+@query(
+    "a8_switches",
+    LEDGER.split("SELECT 'input' AS step")[0].rstrip()
+    + f""" SELECT 'asr' AS without, ({_TRIMMED.format('SELECT ' + sql_adjusted('text', 'utt_id') + f' AS text FROM ({UTT})', sql_words('text'))}) AS n
+    UNION ALL SELECT 'punct', ({_TRIMMED.format('SELECT text FROM a', sql_words('text'))}) UNION ALL SELECT 'ratio', (SELECT count(*) FROM b)""",
+)
+def a8_switches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the pipeline yields with one step left out."""
+    rows, out = utterances(spark, sf_dir).drop("doc_id"), None
+    for without in STEPS:
+        last = run(rows, tuple(s for s in STEPS if s != without))["ratio"]
+        one = last.agg(F.count(F.lit(1)).alias("n")).select(F.lit(without).alias("without"), "n")
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+@query("a1_drop_short", SEG + f", g AS (SELECT rec_id, seg_id, count(*) AS n_frames, (max(us) - min(us)) / {segment.SECOND}.0::DOUBLE AS dur_s FROM sg GROUP BY rec_id, seg_id) SELECT rec_id, seg_id, n_frames FROM g WHERE dur_s >= 1")
+def a1_drop_short(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The option that leaves out pieces of under a second."""
+    return segment.drop_short(segment.segment_frames(_frames(spark, sf_dir)), 1.0).select("rec_id", "seg_id", "n_frames")

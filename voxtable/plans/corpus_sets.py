@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from voxtable.functions.binding import let
 from voxtable.functions.hashing import sql_draw, sql_uniform
 from voxtable.functions.units import words
 from voxtable.operators import bench_sets, mixture, policy, tokens
-from voxtable.plans.corpus import UTT, utterances
+from voxtable.plans.corpus import TEXTS, texts
 from voxtable.registry import query
 from voxtable.sources.tables import load
 
@@ -71,12 +72,12 @@ def g6_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixture.coverage(load(spark, sf_dir, "documents"), "source", "lang", ["de", "en", "es", "fr"])
 
 
-RARE = f"WITH u AS ({UTT}), w AS (SELECT utt_id, unnest(list_distinct(list_filter(regexp_split_to_array(trim(text), '\\s+'), lambda x: x <> ''))) AS word FROM u), c AS (SELECT word, count(*) AS df, min(utt_id) AS utt_id FROM w GROUP BY word) SELECT word, df, utt_id FROM c WHERE df <= 2 ORDER BY df, word LIMIT 50"
+RARE = f"WITH u AS ({TEXTS}), w AS (SELECT utt_id, unnest(list_distinct(list_filter(regexp_split_to_array(trim(text), '\\s+'), lambda x: x <> ''))) AS word FROM u), c AS (SELECT word, count(*) AS df, min(utt_id) AS utt_id FROM w GROUP BY word) SELECT word, df, utt_id FROM c WHERE df <= 2 ORDER BY df, word LIMIT 50"
 
 
 @query("g7_rare", RARE)
 def g7_rare(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixture.rare_cases(utterances(spark, sf_dir), words(F.col("text")), "utt_id", 2, 50)
+    return mixture.rare_cases(texts(spark, sf_dir), words(F.col("text")), "utt_id", 2, 50)
 
 
 @query("g11_self_train", f"SELECT word || ' ' || word AS text, 'self' AS part FROM ({RARE})")
@@ -89,24 +90,22 @@ def g8_models(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixture.model_card(spark)
 
 
-def char_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """doc_id, lang, pos, c: first 200 letters of each document as tokens."""
-    text = F.lower(F.regexp_replace("text", r"[^\p{L}]", ""))
-    return load(spark, sf_dir, "documents").select("doc_id", "lang", F.posexplode(F.split(F.substring(text, 1, 200), "")).alias("pos", "c")).filter("c <> ''")
+def letters() -> Column:
+    """A text's letters, lower case, as tokens."""
+    return F.filter(F.split(F.lower(F.regexp_replace("text", r"[^\p{L}]", "")), ""), lambda c: c != "")
 
 
-CHARS = r"WITH tx AS (SELECT doc_id, lang, lower(regexp_replace(text, '[^\p{L}]', '', 'g'))[1:200] AS t FROM documents), ch AS (SELECT doc_id, lang, unnest(range(length(t))) AS pos, unnest(string_split(t, '')) AS c FROM tx WHERE t <> '')"
+CHARS = r"WITH tx AS (SELECT doc_id, lang, lower(regexp_replace(text, '[^\p{L}]', '', 'g')) AS t FROM documents), ch AS (SELECT doc_id, lang, unnest(range(length(t))) AS pos, unnest(string_split(t, '')) AS c FROM tx WHERE t <> '')"
 CCTX = CHARS + ", cx AS (SELECT *, coalesce(lag(c) OVER (PARTITION BY doc_id ORDER BY pos), '^') AS ctx FROM ch)"
 
 
 def _scaled(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Perplexity of every document's letters under bigram counts of nested subsets."""
-    rows, out = policy.contexts(char_tokens(spark, sf_dir), "doc_id", ("pos",), "c"), None
-    for scale, frac in SCALES.items():
-        u = mixture.uniform("scale", F.col("doc_id"))
-        one = policy.perplexity(rows, policy.from_counts(rows.filter(u < frac), "c", 64), "c", 64).select(F.lit(scale).alias("scale"), F.lit(frac).alias("frac"), "n", "perplexity")
-        out = one if out is None else out.unionAll(one)
-    return out
+    """Perplexity of every document's letters under pair counts of nested subsets."""
+    docs = load(spark, sf_dir, "documents")
+    subsets = {scale: mixture.uniform("scale", F.col("doc_id")) < frac for scale, frac in SCALES.items()}
+    fracs = F.create_map(*[F.lit(x) for kv in SCALES.items() for x in kv])
+    out = policy.nested_perplexity(docs, letters(), subsets, 64)
+    return out.select(F.col("subset").alias("scale"), fracs[F.col("subset")].alias("frac"), "n", "perplexity")
 
 
 def _scaled_sql() -> str:
@@ -130,9 +129,13 @@ def g10_lineage(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("g12_holdout", CCTX + ", fit AS (SELECT ctx, c, lang, count(*) AS n FROM cx WHERE lang <> 'es' GROUP BY ALL), pk AS (SELECT ctx, c, sum(n) AS n, max(n) AS hit FROM fit GROUP BY ctx, c), kn AS (SELECT lang, count(*) AS n, count(pk.ctx) AS known FROM cx LEFT JOIN pk USING (ctx, c) WHERE lang = 'es' GROUP BY lang) SELECT lang, n, known, round(known / n::DOUBLE, 6) AS share FROM kn")
 def g12_holdout(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Letter pairs of a language that was left out, and how many of them the others have shown."""
-    seen, held = mixture.holdout(policy.contexts(char_tokens(spark, sf_dir), "doc_id", ("pos",), "c"), "lang", ("es",))
-    known = seen.select("ctx", "c").distinct().withColumn("known", F.lit(1))
-    return _r(held.join(known, ["ctx", "c"], "left").groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.count("known").alias("known")).withColumn("share", F.col("known") / F.col("n")))
+    ls = letters()
+    pairs = F.explode(let(ls, lambda t: F.zip_with(F.slice(F.concat(F.array(F.lit("^")), t), F.lit(1), F.size(t)), t, lambda a, b: F.struct(a.alias("ctx"), b.alias("c")))))
+    counts = load(spark, sf_dir, "documents").select("lang", pairs.alias("p")).groupBy("lang", "p").agg(F.count(F.lit(1)).alias("n"))
+    seen, held = mixture.holdout(counts, "lang", ("es",))
+    known = seen.select("p").distinct().withColumn("known", F.lit(True))
+    held = held.join(known, "p", "left").groupBy("lang").agg(F.sum("n").alias("n"), F.sum(F.when(F.col("known"), F.col("n")).otherwise(0)).alias("known"))
+    return _r(held.withColumn("share", F.col("known") / F.col("n")))
 
 
 @query("g13_tokenizer_hours", "SELECT task, khours, round(khours / 530.0::DOUBLE, 6) AS share FROM (VALUES ('recognition', 365), ('language', 85), ('emotion', 48), ('events', 21), ('speaker', 11)) AS t(task, khours)")
@@ -150,14 +153,14 @@ def h1_multilingual(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bench_sets.stratified(load(spark, sf_dir, "documents"), ("lang",), 500, "doc_id", "multi").select("lang", "doc_id", "rank")
 
 
-HARD = f"""WITH u AS ({UTT}), t AS (SELECT utt_id, lang, list_filter(regexp_split_to_array(trim(lower(text)), '\\s+'), lambda x: x <> '') AS w FROM u), i AS (SELECT utt_id, unnest(list_distinct(w)) AS x FROM t), d AS (SELECT x, count(*) AS df FROM i GROUP BY x),
+HARD = f"""WITH u AS ({TEXTS}), t AS (SELECT utt_id, lang, list_filter(regexp_split_to_array(trim(lower(text)), '\\s+'), lambda x: x <> '') AS w FROM u), i AS (SELECT utt_id, unnest(list_distinct(w)) AS x FROM t), d AS (SELECT x, count(*) AS df FROM i GROUP BY x),
  ra AS (SELECT utt_id, avg(1.0::DOUBLE / df) AS rarity FROM i JOIN d USING (x) GROUP BY utt_id), sh AS (SELECT utt_id, lang, CASE WHEN len(w) > 1 THEN len(list_filter(range(1, len(w)), lambda k: w[k][1:1] = w[k + 1][1:1])) / (len(w) - 1)::DOUBLE END AS al, CASE WHEN len(w) > 0 THEN 1 - len(list_distinct(w)) / len(w)::DOUBLE END AS rep FROM t),
  hd AS (SELECT lang, utt_id, round(coalesce(rarity, 0) + coalesce(al, 0) + coalesce(rep, 0), 9) AS score FROM sh LEFT JOIN ra USING (utt_id)) SELECT lang, utt_id, round(score, 6) AS score FROM hd QUALIFY row_number() OVER (PARTITION BY lang ORDER BY score DESC, utt_id) <= 20"""
 
 
 @query("h2_hard", HARD)
 def h2_hard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _r(bench_sets.hard(utterances(spark, sf_dir), "utt_id", 20).select("lang", "utt_id", "score"))
+    return _r(bench_sets.hard(texts(spark, sf_dir), "utt_id", 20).select("lang", "utt_id", "score"))
 
 
 @query(

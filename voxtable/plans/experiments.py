@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from voxtable.functions.hashing import draw, sql_draw
 from voxtable.functions.units import sql_word_edits, sql_words
 from voxtable.functions.vectors import cosine
-from voxtable.operators import bench_sets, err, fsq, judged, lexicon, mixture, reward, signal, surrogate, tokens, vq
+from voxtable.operators import bench_sets, err, fsq, judged, lexicon, mixture, policy, reward, signal, surrogate, tokens, vq
 from voxtable.plans import corpus, corpus_sets, measures, published, rewards, speech_tokens, text_side
 from voxtable.plans.corpus import UTT, sql_corrupt, utterances
+from voxtable import registry
 from voxtable.registry import query
 from voxtable.sources.tables import load
 
@@ -62,25 +64,25 @@ def w3_multilingual(spark: SparkSession, sf_dir: str) -> DataFrame:
 HARD = ["gen2", "gen2+ro", "new_s", "new_s+ro", "new_l", "new_l+ro"]
 
 
-@query("w4_hard", _error_table(f"SELECT u.utt_id, u.text, u.lang FROM ({UTT}) u JOIN ({corpus_sets.HARD}) h ON h.utt_id = u.utt_id", HARD, LANGS))
+@query("w4_hard", _error_table(f"SELECT u.utt_id, u.text, u.lang FROM ({UTT}) u JOIN ({corpus_sets.HARD}) h ON h.utt_id = u.doc_id", HARD, LANGS))
 def w4_hard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = utterances(spark, sf_dir)
-    return _error_pivot(bench_sets.hard(rows, "utt_id", 20).select("utt_id", "text", "lang"), HARD, LANGS)
+    chosen = bench_sets.hard(corpus.texts(spark, sf_dir), "utt_id", 20).select(F.col("utt_id").alias("doc_id"))
+    return _error_pivot(utterances(spark, sf_dir).join(chosen, "doc_id"), HARD, LANGS)
 
 
 CROSS = ["gen2", "new_s", "new_s+ro", "new_l", "new_l+ro"]
 DIRECTIONS = [f"{a}_{b}" for a in LANGS for b in LANGS if a != b]
-CROSS_SQL = f"""SELECT target_id * 4 + CASE prompt_lang WHEN 'de' THEN 0 WHEN 'en' THEN 1 WHEN 'es' THEN 2 ELSE 3 END AS utt_id, u.text, target_lang AS lang, prompt_lang || '_' || target_lang AS direction FROM (
+CROSS_SQL = f"""SELECT u.utt_id * 4 + CASE prompt_lang WHEN 'de' THEN 0 WHEN 'en' THEN 1 WHEN 'es' THEN 2 ELSE 3 END AS utt_id, u.text, target_lang AS lang, prompt_lang || '_' || target_lang AS direction FROM (
   WITH p AS ({corpus_sets._strat('documents', 'lang', 50, 'doc_id', 'prompt')}), t AS ({corpus_sets._strat('documents', 'lang', 50, 'doc_id', 'target')})
-  SELECT p.lang AS prompt_lang, t.lang AS target_lang, t.doc_id AS target_id FROM p JOIN t ON p.rank = t.rank AND p.lang <> t.lang) c JOIN ({UTT}) u ON u.utt_id = c.target_id"""
+  SELECT p.lang AS prompt_lang, t.lang AS target_lang, t.doc_id AS target_id FROM p JOIN t ON p.rank = t.rank AND p.lang <> t.lang) c JOIN ({UTT}) u ON u.doc_id = c.target_id"""
 
 
 def cross(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Target texts of prompt-target pairs, each with its direction; one text under another prompt language is another utterance."""
     pairs = corpus_sets.h3_cross_lingual(spark, sf_dir)
     code = F.array_position(F.array(*map(F.lit, LANGS)), F.col("prompt_lang")) - 1
-    texts = utterances(spark, sf_dir).select(F.col("utt_id").alias("target_id"), "text")
-    return pairs.join(texts, "target_id").select((F.col("target_id") * 4 + code).alias("utt_id"), "text", F.col("target_lang").alias("lang"), F.concat_ws("_", "prompt_lang", "target_lang").alias("direction"))
+    texts = utterances(spark, sf_dir).select(F.col("doc_id").alias("target_id"), "utt_id", "text")
+    return pairs.join(texts, "target_id").select((F.col("utt_id") * 4 + code).alias("utt_id"), "text", F.col("target_lang").alias("lang"), F.concat_ws("_", "prompt_lang", "target_lang").alias("direction"))
 
 
 def _directed(systems: list[str], cols: list[str]) -> str:
@@ -186,48 +188,88 @@ def w13_reward_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reward.trace_frame(spark, rows)
 
 
-POLY = text_side.LEX + """, it AS (SELECT utt_id, lang, unnest(range(len(S))) AS pos, unnest(S) AS symbol FROM u), e AS (SELECT it.lang, it.symbol, r.phones AS true_phones, nr.pick, nr.n_readings FROM it JOIN rd r ON r.symbol = it.symbol AND r.lang = it.lang JOIN nr ON nr.symbol = it.symbol WHERE nr.n_readings > 1 AND nr.pick <> r.phones)""".replace("S)", text_side.SYM + ")")
+VARIANTS = [("all_phones", "all", "phones"), ("mono_phones", "mono", "phones"), ("mono_both", "mono", "both"), ("all_both", "all", "both")]
+POLY = text_side.LEX + ", it AS (SELECT lang, unnest(" + text_side.SYM + ") AS symbol FROM u), e AS (SELECT it.lang, it.symbol, r.phones AS said, nr.pick, nr.n_readings FROM it JOIN rd r ON r.symbol = it.symbol AND r.lang = it.lang JOIN nr ON nr.symbol = it.symbol WHERE nr.pick <> r.phones)"
 
 
-@query("w14_correction", POLY + """, v AS (SELECT lang, unnest(['all_phones', 'mono_phones', 'mono_both', 'all_both']) AS variant, symbol, true_phones, pick FROM e)
-  SELECT variant, lang, count(*) AS errors, count(*) FILTER (WHERE variant IN ('mono_phones', 'mono_both')) AS corrected, round(100.0::DOUBLE * count(*) FILTER (WHERE variant IN ('mono_phones', 'mono_both')) / count(*), 6) AS rate FROM v GROUP BY variant, lang""")
+@query("w14_correction", POLY + f""", v AS (SELECT e.*, variant, CASE WHEN which = 'all' OR n_readings = 1 THEN CASE render WHEN 'both' THEN symbol ELSE '' END || '/' || pick || '/' ELSE symbol END AS shown FROM e, (VALUES {', '.join(map(str, VARIANTS))}) AS x(variant, which, render)),
+  h AS (SELECT *, CASE WHEN contains(shown, '/') THEN shown ELSE '/' || said || '/' END AS hinted FROM v)
+  SELECT variant, lang, count(*) AS errors, count(*) FILTER (WHERE regexp_extract(hinted, '/(.*)/', 1) = said) AS corrected, round(100.0::DOUBLE * count(*) FILTER (WHERE regexp_extract(hinted, '/(.*)/', 1) = said) / count(*), 6) AS rate FROM h GROUP BY variant, lang""")
 def w14_correction(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Symbols of several readings whose predicted reading is not their language's are errors. A variant that replaces all symbols keeps the wrong phones;
-    one that leaves such symbols alone lets a user's hint correct them."""
-    rows = utterances(spark, sf_dir)
+    """Symbols whose predicted reading is not their language's are errors. Each variant renders them; a user's hint takes the place of a symbol that was left bare;
+    what the rendered phones say is then compared with the true reading."""
+    rows = corpus.texts(spark, sf_dir)
     lex = lexicon.build(rows)
-    pick = lex.groupBy("symbol").agg(F.min("phones").alias("pick"), F.max("n_readings").alias("readings"))
-    items = rows.select("lang", F.explode(lexicon.symbols(F.col("text"))).alias("symbol"))
-    wrong = items.join(lex.select("symbol", "lang", "phones"), ["symbol", "lang"]).join(pick, "symbol").filter("readings > 1 AND pick <> phones")
-    variants = F.explode(F.array(*map(F.lit, ("all_phones", "mono_phones", "mono_both", "all_both"))))
-    each = wrong.select("lang", variants.alias("variant"), F.lit(1).cast("long").alias("errors")).withColumn("corrected", F.col("variant").startswith("mono").cast("long"))
+    wrong = lexicon.placed(rows, lex, "lang").join(lex.select("symbol", "lang", F.col("phones").alias("said")), ["symbol", "lang"]).filter("pick <> said")
+    variants = F.explode(F.array(*[F.struct(F.lit(v).alias("variant"), F.lit(w).alias("which"), F.lit(r).alias("render")) for v, w, r in VARIANTS])).alias("x")
+    each = wrong.select("lang", "symbol", "said", "pick", "n_readings", variants).select("*", "x.*")
+    shown = F.when(lexicon.replaced(F.col("which")), lexicon.piece(F.col("symbol"), F.col("render"))).otherwise(F.col("symbol"))
+    hinted = F.when(F.contains("shown", F.lit("/")), F.col("shown")).otherwise(F.concat(F.lit("/"), "said", F.lit("/")))
+    heard = F.regexp_extract("hinted", "/(.*)/", 1)
+    each = each.withColumn("shown", shown).withColumn("hinted", hinted).select("variant", "lang", F.lit(1).cast("long").alias("errors"), (heard == F.col("said")).cast("long").alias("corrected"))
     return _r(judged.correction_rate(each, "variant", "lang"))
 
 
-@query("w15_instructed", "WITH c AS (SELECT conv_id, turn, role, (conv_id * 10 + turn) % 500 AS vec_id FROM conversations), e AS (SELECT vec_id, label, embedding FROM embeddings), k AS (SELECT label, pos, avg(x) AS m FROM (SELECT label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS pos FROM embeddings) GROUP BY 1, 2), s AS (SELECT c.role, c.conv_id, c.turn, sum(x * m) / (sqrt(sum(x * x)) * sqrt(sum(m * m))) AS cs FROM c JOIN (SELECT vec_id, label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS pos FROM e) v USING (vec_id) JOIN k ON k.label = v.label AND k.pos = v.pos GROUP BY 1, 2, 3) SELECT role, count(*) AS n, round(100 * avg(cs), 4) AS similarity FROM s GROUP BY role")
+@query("w15_instructed", "WITH c AS (SELECT conv_id, turn, role, (conv_id * 10 + turn) % (SELECT count(*) FROM embeddings) AS vec_id FROM conversations), e AS (SELECT vec_id, label, embedding FROM embeddings), k AS (SELECT label, pos, avg(x) AS m FROM (SELECT label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS pos FROM embeddings) GROUP BY 1, 2), s AS (SELECT c.role, c.conv_id, c.turn, sum(x * m) / (sqrt(sum(x * x)) * sqrt(sum(m * m))) AS cs FROM c JOIN (SELECT vec_id, label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS pos FROM e) v USING (vec_id) JOIN k ON k.label = v.label AND k.pos = v.pos GROUP BY 1, 2, 3) SELECT role, count(*) AS n, round(100 * avg(cs), 4) AS similarity FROM s GROUP BY role")
 def w15_instructed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Style similarity by prompt role, truth being 100."""
     emb = load(spark, sf_dir, "embeddings")
     styled = emb.join(tokens.centroids(emb, "label", "embedding"), "label").select("vec_id", cosine(F.col("embedding"), F.col("centre")).alias("cs"))
-    rows = load(spark, sf_dir, "conversations").select("role", ((F.col("conv_id") * 10 + F.col("turn")) % 500).alias("vec_id"))
+    many = emb.agg(F.count(F.lit(1)).alias("many"))  # one row
+    rows = load(spark, sf_dir, "conversations").join(F.broadcast(many)).select("role", ((F.col("conv_id") * 10 + F.col("turn")) % F.col("many")).alias("vec_id"))
     return _r(rows.join(styled, "vec_id").groupBy("role").agg(F.count(F.lit(1)).alias("n"), (100 * F.avg("cs")).alias("similarity")), 4)
 
 
 FINE = ["gen2", "new_s", "new_l"]
 
 
-@query("w16_fine_tuned", _error_table(UTT, FINE, LANGS))
+SPEAKERS = 10  # target speakers: the labels of the embeddings
+SPOKEN_ITEMS = f"SELECT item_id AS utt_id, text, (item_id % {SPEAKERS})::INT AS lang FROM benchmark"
+
+
+@query("w16_fine_tuned", f"""WITH t AS ({sql_corrupt({s: surrogate.SYSTEMS[s] for s in FINE}, SPOKEN_ITEMS)}), s AS (SELECT system, lang AS speaker, count(*) AS n, round(100 * sum({sql_word_edits('ref', 'hyp')}) / sum(len({sql_words('ref')}))::DOUBLE, 4) AS error FROM t GROUP BY 1, 2),
+  e AS (SELECT vec_id, label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS pos FROM embeddings), m AS (SELECT label, pos, avg(x) AS m FROM e GROUP BY 1, 2),
+  c AS (SELECT label, vec_id, sum(x * m) / (sqrt(sum(x * x)) * sqrt(sum(m * m))) AS cs FROM e JOIN m USING (label, pos) GROUP BY 1, 2), k AS (SELECT label, round(avg(cs), 4) AS consistency FROM c GROUP BY 1)
+  SELECT system, speaker, n, error, consistency FROM s LEFT JOIN k ON k.label = s.speaker""")
 def w16_fine_tuned(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _error_pivot(utterances(spark, sf_dir), FINE, LANGS)
+    """Error of each base model speaking as each target speaker, and how near the speaker's recordings lie to the centre that stands for them."""
+    speaker = (F.col("item_id") % SPEAKERS).cast("int").alias("speaker")
+    items = load(spark, sf_dir, "benchmark").select(F.col("item_id").alias("utt_id"), "text", speaker)
+    heard = err.scored(surrogate.transcripts(items, FINE, "speaker"), F.lit("word"))
+    by = heard.groupBy("system", "speaker").agg(F.count(F.lit(1)).alias("n"), (100.0 * F.try_divide(F.sum("edits"), F.sum("n_ref"))).alias("error"))
+    emb = load(spark, sf_dir, "embeddings")
+    near = emb.join(tokens.centroids(emb, "label", "embedding"), "label").groupBy(F.col("label").alias("speaker")).agg(F.avg(cosine(F.col("embedding"), F.col("centre"))).alias("consistency"))
+    return _r(by.join(near, "speaker", "left").select("system", "speaker", "n", "error", "consistency"), 4)
 
 
-@query("w17_polyglot", f"SELECT system, de, en, es, fr, greatest(de, en, es, fr) < 4 AS below_bound FROM ({_error_table(UTT, ['new_s', 'new_l+ro'], LANGS)})")
-def w17_polyglot(spark: SparkSession, sf_dir: str) -> DataFrame:
-    wide = _error_pivot(utterances(spark, sf_dir), ["new_s", "new_l+ro"], LANGS)
-    return wide.withColumn("below_bound", F.greatest(*LANGS) < 4)
+POLYGLOTS = ["new_s", "new_l+ro"]
+VOICED = f"""SELECT u.utt_id, u.text, u.lang, v.speaker FROM (SELECT *, {sql_draw(chr(39) + 'voice' + chr(39), 'utt_id')} AS d FROM ({UTT})) u
+  JOIN (SELECT lang, speaker, row_number() OVER (PARTITION BY lang ORDER BY speaker) - 1 AS place, count(*) OVER (PARTITION BY lang) AS many FROM ({text_side.PROMPTS} {text_side.MONO})) v
+  ON v.lang = (CASE u.lang WHEN 'de' THEN ['en', 'es', 'fr'] WHEN 'en' THEN ['de', 'es', 'fr'] WHEN 'es' THEN ['de', 'en', 'fr'] ELSE ['de', 'en', 'es'] END)[u.d % 3 + 1] AND v.place = (u.d // 3) % v.many"""
 
 
-query("w18_pipeline_yield", corpus.LEDGER)(corpus.a7_ledger)
+@query("w17_polyglot", f"""WITH vo AS ({VOICED}), t AS ({sql_corrupt({s: surrogate.SYSTEMS[s] for s in POLYGLOTS}, 'SELECT utt_id, text, lang FROM vo')}), s AS (SELECT system, lang, 100 * sum({sql_word_edits('ref', 'hyp')}) / sum(len({sql_words('ref')}))::DOUBLE AS error FROM t GROUP BY 1, 2),
+  n AS (SELECT lang, count(DISTINCT speaker) AS speakers, count(*) AS n FROM vo GROUP BY lang) SELECT system, lang, speakers, n, round(error, 4) AS error, error < 4 AS below_bound FROM s JOIN n USING (lang)""")
+def w17_polyglot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Monolingual speakers in languages that are not theirs: error by language, and whether it is below the bound of 4."""
+    chosen = text_side.f10_select(spark, sf_dir)
+    by = Window.partitionBy("lang")
+    voices = chosen.select(F.col("lang").alias("home"), "speaker", (F.row_number().over(by.orderBy("speaker")) - 1).alias("place"), F.count(F.lit(1)).over(by).alias("many"))
+    d = draw("voice", F.col("utt_id"))
+    others = F.create_map(*[x for lang in LANGS for x in (F.lit(lang), F.array(*[F.lit(o) for o in LANGS if o != lang]))])
+    rows = utterances(spark, sf_dir).withColumn("d", d).withColumn("home", F.get(F.try_element_at(others, F.col("lang")), (F.col("d") % 3).cast("int")))
+    # four languages, five speakers each at most
+    voiced = rows.join(F.broadcast(voices), "home").filter(F.col("place") == F.expr("(d div 3) % many")).select("utt_id", "text", "lang", "speaker")
+    heard = err.scored(surrogate.transcripts(voiced, POLYGLOTS, "lang", "speaker"), F.lit("word"))
+    return _r(
+        heard.groupBy("system", "lang").agg(F.countDistinct("speaker").alias("speakers"), F.count(F.lit(1)).alias("n"), (100.0 * F.try_divide(F.sum("edits"), F.sum("n_ref"))).alias("error")).withColumn("below_bound", F.col("error") < 4), 4
+    )
+
+
+@query("w18_pipeline_yield", corpus.YIELD)
+def w18_pipeline_yield(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All six steps: segments of the recordings, those not truncated, those whose volume can be set; utterances with an agreed transcript, repunctuated, within the tails."""
+    return corpus.all_steps(spark, sf_dir)
 
 
 @query("w19_tokenizer_hours", corpus.SEG + f", d AS (SELECT rec_id, seg_id, arg_min(kind, (us, frame)) AS task, (max(us) - min(us)) / {corpus.segment.SECOND * 3600}.0::DOUBLE AS hours, CASE WHEN rec_id % 2 = 0 THEN 'zh' ELSE 'en' END AS lang FROM sg GROUP BY rec_id, seg_id) SELECT task, lang, round(sum(hours), 6) AS hours, count(*) AS n, grouping_id(task, lang)::BIGINT AS level_id FROM d GROUP BY ROLLUP (task, lang)")
@@ -246,18 +288,33 @@ def w20_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
 query("w21_styles", text_side.STYLES)(text_side.f5_styles)
 
 
-@query("w22_routes", f"WITH r AS ({text_side.RAW}) SELECT route::INT AS route, count(*) AS n FROM r, range(1, 4) AS w(route) GROUP BY route")
+ROUTES = f"""WITH r AS ({text_side.RAW}), n AS (SELECT lang, text, {text_side._norm_sql('text')} AS s, {text_side._norm_sql('text', True)} AS v FROM r), i AS (SELECT *, {text_side._inverse_sql('s')} AS back, {text_side._inverse_sql('v')} AS back_v FROM n)"""
+
+
+@query("w22_routes", ROUTES + f""", w AS (SELECT 1 AS route, lang, s <> text AS changed, replace(back, ' ', '') = replace(text, ' ', '') AS restored FROM i UNION ALL SELECT 2, lang, v <> text, replace(back_v, ' ', '') = replace(text, ' ', '') FROM i
+  UNION ALL SELECT 3, lang, back <> text, {text_side._norm_sql('back')} = s FROM i) SELECT route, lang, count(*) AS n, count(*) FILTER (WHERE changed) AS changed, count(*) FILTER (WHERE restored) AS restored FROM w GROUP BY route, lang""")
 def w22_routes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raw = text_side.raw_text(spark, sf_dir).select("utt_id", F.explode(F.array(F.lit(1), F.lit(2), F.lit(3))).alias("route"))
-    return raw.groupBy("route").agg(F.count(F.lit(1)).alias("n"))
+    """By rules, by the prompted model, by the inverse: rows, rows that change, rows from which the way back leads to the start."""
+    norm, back = text_side.textnorm.normalize, text_side.textnorm.denormalize
+    lang = F.col("lang")
+    rows = text_side.raw_text(spark, sf_dir).select("lang", "text", norm(F.col("text"), lang).alias("s"), norm(F.col("text"), lang, True).alias("v"))
+    rows = rows.withColumns({"back": back(F.col("s"), lang), "back_v": back(F.col("v"), lang)})
+    bare = lambda c: F.replace(F.col(c), F.lit(" "), F.lit(""))
+    way = lambda route, changed, restored: F.struct(F.lit(route).alias("route"), changed.alias("changed"), restored.alias("restored"))
+    ways = [way(1, F.col("s") != F.col("text"), bare("back") == bare("text")), way(2, F.col("v") != F.col("text"), bare("back_v") == bare("text")), way(3, F.col("back") != F.col("text"), norm(F.col("back"), lang) == F.col("s"))]
+    each = rows.select("lang", F.explode(F.array(*ways)).alias("w")).select("lang", "w.*")
+    return each.groupBy("route", "lang").agg(F.count(F.lit(1)).alias("n"), F.count_if("changed").alias("changed"), F.count_if("restored").alias("restored"))
 
 
-@query("w23_benchmark", "SELECT 'multilingual' AS subset, count(*) AS n FROM (" + corpus_sets._strat("documents", "lang", 500, "doc_id", "multi") + ") UNION ALL SELECT 'hard', count(*) FROM (" + corpus_sets.HARD + ") UNION ALL SELECT 'three_way', count(*) FROM benchmark UNION ALL SELECT 'emotion', count(*) FROM (" + corpus_sets.EMO + " SELECT * FROM (" + corpus_sets._strat("e", "lang, emotion, relation", 10, "doc_id", "emotion") + "))")
+SUBSETS = {"multilingual": "h1_multilingual", "hard": "h2_hard", "cross_lingual": "h3_cross_lingual", "emotion": "h4_emotion", "expressive": "h5_expressive", "continuation": "h6_continuation", "dialects": "h7_dialects", "three_way": "h8_three_way"}
+
+
+@query("w23_benchmark", " UNION ALL ".join(f"SELECT '{name}' AS subset, count(*) AS n FROM ({registry.ORACLES[q]})" for name, q in SUBSETS.items()))
 def w23_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
-    parts = {"multilingual": corpus_sets.h1_multilingual, "hard": corpus_sets.h2_hard, "three_way": corpus_sets.h8_three_way, "emotion": corpus_sets.h4_emotion}
+    """The seven subsets and the public test's split."""
     out = None
-    for name, build in parts.items():
-        one = build(spark, sf_dir).agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("subset"), "n")
+    for name, q in SUBSETS.items():
+        one = registry.QUERIES[q](spark, sf_dir).agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("subset"), "n")
         out = one if out is None else out.unionAll(one)
     return out
 
@@ -293,15 +350,27 @@ def w27_volume(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sums.agg(F.sum("n").alias("n"), F.sum("t").alias("token_sum"), F.round(F.sum("v"), 4).alias("scaled_sum"), F.count_if("vol_degenerate").alias("degenerate"))
 
 
-query("w28_transfer", "WITH x AS (SELECT 1) SELECT * FROM (" + corpus_sets.CCTX + ", fit AS (SELECT DISTINCT ctx, c FROM cx WHERE lang <> 'es') SELECT lang, count(*) AS n, count(fit.ctx) AS known, round(count(fit.ctx) / count(*)::DOUBLE, 6) AS share FROM cx LEFT JOIN fit USING (ctx, c) WHERE lang = 'es' GROUP BY lang)")(corpus_sets.g12_holdout)
+def _transfer_sql(name: str, where: str) -> str:
+    fit = f"SELECT ctx, c, count(*) AS n FROM cx WHERE {where} GROUP BY 1, 2"
+    return f"SELECT '{name}' AS fitted_on, count(*) AS n, round(exp(-avg(ln((coalesce(k.n, 0) + 1.0::DOUBLE) / (coalesce(t.n, 0) + 64.0::DOUBLE)))), 4) AS perplexity FROM (SELECT * FROM cx WHERE lang = 'es') x LEFT JOIN ({fit}) k USING (ctx, c) LEFT JOIN (SELECT ctx, sum(n) AS n FROM ({fit}) GROUP BY ctx) t USING (ctx)"
+
+
+@query("w28_transfer", corpus_sets.CCTX + " " + " UNION ALL ".join(_transfer_sql(n, w) for n, w in (("others", "lang <> 'es'"), ("all", "true"), ("itself", "lang = 'es'"))))
+def w28_transfer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Perplexity of a language's letters under pair counts of the other languages, of all, and of itself."""
+    es = F.col("lang") == "es"
+    subsets = {"others": ~es, "all": F.lit(True), "itself": es}
+    return _r(policy.nested_perplexity(load(spark, sf_dir, "documents"), corpus_sets.letters(), subsets, 64, scored=es).withColumnRenamed("subset", "fitted_on"), 4)
+
+
 query("w29_spread", rewards.SPREAD)(rewards.c14_spread)
 query("w30_stages", "SELECT * FROM (VALUES ('pretraining', NULL, 'base, phones, text forms'), ('post_training', 'pretraining', 'reward tasks'), ('continual_pretraining', 'post_training', 'instructions, languages'), ('speaker_fine_tuning', 'continual_pretraining', 'target speakers, masked prompts')) AS t(stage, after, inputs)")(lambda spark, sf_dir: mixture.stages(spark))
 
 
-@query("k5_renderer", "SELECT vec_id, nfe::INT AS nfe, round(pow(1 - 1 / nfe::DOUBLE, nfe), 6) AS left_over FROM (SELECT vec_id FROM embeddings WHERE vec_id < 10), (VALUES (1), (4), (32)) AS n(nfe)")
+@query("k5_renderer", "SELECT vec_id, nfe::INT AS nfe, round(pow(1 - 1 / nfe::DOUBLE, nfe), 6) AS left_over FROM (SELECT vec_id FROM embeddings), (VALUES (1), (4), (32)) AS n(nfe)")
 def k5_renderer(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of the way that is left after N Euler steps from a zero vector to the embedding."""
-    rows = load(spark, sf_dir, "embeddings").filter("vec_id < 10").withColumn("zero", F.transform("embedding", lambda x: x * 0))
+    rows = load(spark, sf_dir, "embeddings").withColumn("zero", F.transform("embedding", lambda x: x * 0))
     out = None
     for nfe in (1, 4, 32):
         at = surrogate.flow_integrate(F.col("zero"), F.col("embedding"), nfe)

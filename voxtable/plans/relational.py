@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from voxtable.functions.shared import shared_folder
 from voxtable.registry import query
 from voxtable.sources.tables import load, micros
 
@@ -65,11 +66,11 @@ def join_left_blank(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.groupBy(F.coalesce(F.col("toxic").cast("string"), F.lit("")).alias("toxic")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("join_full_metrics", "SELECT source, a.n AS english, b.n AS french FROM (SELECT source, count(*) AS n FROM documents WHERE lang = 'en' AND doc_id % 50 = 0 GROUP BY 1) a FULL JOIN (SELECT source, count(*) AS n FROM documents WHERE lang = 'fr' AND doc_id % 20 = 1 GROUP BY 1) b USING (source)")
+@query("join_full_metrics", "SELECT source, a.n AS english, b.n AS french FROM (SELECT source, count(*) AS n FROM documents WHERE lang = 'en' GROUP BY 1) a FULL JOIN (SELECT source, count(*) AS n FROM documents WHERE lang = 'fr' GROUP BY 1) b USING (source)")
 def join_full_metrics(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = load(spark, sf_dir, "documents")
     one = lambda where, name: d.filter(where).groupBy("source").agg(F.count(F.lit(1)).alias(name))
-    return one("lang = 'en' AND doc_id % 50 = 0", "english").join(one("lang = 'fr' AND doc_id % 20 = 1", "french"), "source", "full")
+    return one("lang = 'en'", "english").join(one("lang = 'fr'", "french"), "source", "full")
 
 
 @query("join_semi", "SELECT doc_id FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE toxic = 1)")
@@ -305,8 +306,7 @@ def sink_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents' lengths written by language and read again, with partition discovery."""
     from voxtable.sources.tables import write_pairs
 
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="voxtable-")
-    path = f"{base}/sink-{spark.sparkContext.applicationId}"
+    path = f"{shared_folder(spark)}/sink-{uuid.uuid4().hex}"
     write_pairs(load(spark, sf_dir, "documents").select("doc_id", "n_chars", "lang"), path)
     return spark.read.parquet(path).groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.sum("n_chars").alias("chars"))
 

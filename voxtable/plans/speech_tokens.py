@@ -213,13 +213,13 @@ def b16_probe_centroid(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     "b17_resample",
-    """WITH r AS (SELECT user_id, list(value ORDER BY event_id)[1:20] AS s FROM events GROUP BY user_id), i AS (SELECT user_id, s, unnest(range(floor(len(s) * 40.0::DOUBLE / 25.0::DOUBLE)::BIGINT)) AS i FROM r),
+    """WITH r AS (SELECT user_id, list(value ORDER BY event_id) AS s FROM events GROUP BY user_id), i AS (SELECT user_id, s, unnest(range(floor(len(s) * 40.0::DOUBLE / 25.0::DOUBLE)::BIGINT)) AS i FROM r),
     v AS (SELECT user_id, i, i * 25.0::DOUBLE / 40.0::DOUBLE AS pos, s FROM i)
     SELECT user_id, round(sum(s[least(floor(pos)::INT, len(s) - 1) + 1] + (pos - floor(pos)) * (s[least(floor(pos)::INT + 1, len(s) - 1) + 1] - s[least(floor(pos)::INT, len(s) - 1) + 1])), 6) AS linear,
     round(sum(s[least(floor(pos + 0.5::DOUBLE)::INT, len(s) - 1) + 1]), 6) AS nearest FROM v GROUP BY user_id""",
 )
 def b17_resample(spark: SparkSession, sf_dir: str) -> DataFrame:
-    seq = load(spark, sf_dir, "events").groupBy("user_id").agg(F.slice(F.transform(F.array_sort(F.collect_list(F.struct("event_id", "value"))), lambda s: s["value"]), 1, 20).alias("s"))
+    seq = load(spark, sf_dir, "events").groupBy("user_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("event_id", "value"))), lambda s: s["value"]).alias("s"))
     total = lambda c: F.round(F.aggregate(c, F.lit(0.0), lambda a, x: a + x), 6)
     return seq.select("user_id", total(signal.resample(F.col("s"), 25, 40)).alias("linear"), total(signal.resample(F.col("s"), 25, 40, "nearest")).alias("nearest"))
 

@@ -9,7 +9,7 @@ from voxtable.functions.hashing import sql_draw, sql_uniform
 from voxtable.functions.units import words
 from voxtable.operators import instruct, lexicon, textnorm, vq
 from voxtable.operators.tokens import centroids
-from voxtable.plans.corpus import UTT, utterances
+from voxtable.plans.corpus import TEXTS, texts
 from voxtable.registry import query
 from voxtable.sources.tables import load, page_text
 
@@ -25,12 +25,12 @@ def _sound_sql() -> str:
 
 
 SYM = r"list_filter(string_split(lower(regexp_replace(text, '[^\p{L}]+', ' ', 'g')), ' '), lambda w: w <> '')"
-LEX = f"WITH u AS ({UTT}), wd AS (SELECT DISTINCT unnest({SYM}) AS symbol, lang FROM u), rd AS (SELECT symbol, lang, {_sound_sql()} AS phones FROM wd), nr AS (SELECT symbol, count(DISTINCT phones) AS n_readings, min(phones) AS pick FROM rd GROUP BY symbol), lx AS (SELECT rd.*, n_readings, n_readings = 1 AS is_mono FROM rd JOIN nr USING (symbol))"
+LEX = f"WITH u AS ({TEXTS}), wd AS (SELECT DISTINCT unnest({SYM}) AS symbol, lang FROM u), rd AS (SELECT symbol, lang, {_sound_sql()} AS phones FROM wd), nr AS (SELECT symbol, count(DISTINCT phones) AS n_readings, min(phones) AS pick FROM rd GROUP BY symbol), lx AS (SELECT rd.*, n_readings, n_readings = 1 AS is_mono FROM rd JOIN nr USING (symbol))"
 
 
 @query("d1_lexicon", LEX + " SELECT symbol, lang, phones, n_readings, is_mono FROM lx")
 def d1_lexicon(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lexicon.build(utterances(spark, sf_dir))
+    return lexicon.build(texts(spark, sf_dir))
 
 
 def _inpaint_sql(which: str, render: str, rate: float = 1.0, noise: float = 0.0) -> str:
@@ -43,7 +43,7 @@ def _inpaint_sql(which: str, render: str, rate: float = 1.0, noise: float = 0.0)
 
 
 def _inpainted(spark: SparkSession, sf_dir: str, **how: object) -> DataFrame:
-    rows = utterances(spark, sf_dir)
+    rows = texts(spark, sf_dir)
     return lexicon.inpaint(rows, lexicon.build(rows), **how).withColumn("rendered", F.md5("rendered"))
 
 
@@ -75,19 +75,19 @@ def d6_noise(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("d8_vocab", LEX + " SELECT kind, count(*) AS n FROM (SELECT DISTINCT symbol AS token, 'word' AS kind FROM lx UNION SELECT DISTINCT '/' || phones || '/', 'phone' FROM lx) GROUP BY kind")
 def d8_vocab(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lexicon.expand_vocab(lexicon.build(utterances(spark, sf_dir))).groupBy("kind").agg(F.count(F.lit(1)).alias("n"))
+    return lexicon.expand_vocab(lexicon.build(texts(spark, sf_dir))).groupBy("kind").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("d9_append", f"WITH u AS ({UTT}) SELECT part, count(*) AS n, count(route) AS n_route FROM (SELECT utt_id, NULL AS route, 'base' AS part FROM u UNION ALL SELECT utt_id, 'phones', 'aux' FROM u WHERE lang = 'en') GROUP BY part")
+@query("d9_append", f"WITH u AS ({TEXTS}) SELECT part, count(*) AS n, count(route) AS n_route FROM (SELECT utt_id, NULL AS route, 'base' AS part FROM u UNION ALL SELECT utt_id, 'phones', 'aux' FROM u WHERE lang = 'en') GROUP BY part")
 def d9_append(spark: SparkSession, sf_dir: str) -> DataFrame:
-    base = utterances(spark, sf_dir)
+    base = texts(spark, sf_dir)
     both = lexicon.append(base, base.filter("lang = 'en'").withColumn("route", F.lit("phones")), "aux")
     return both.groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.count("route").alias("n_route"))
 
 
-@query("d10_hints", f"WITH u AS ({UTT}), s AS (SELECT utt_id, {SYM} AS s FROM u) SELECT utt_id, md5(array_to_string(list_transform(s, lambda w, i: CASE WHEN i - 1 = utt_id % 7 THEN '/x' || utt_id % 7 || '/' ELSE w END), ' ')) AS rendered FROM s")
+@query("d10_hints", f"WITH u AS ({TEXTS}), s AS (SELECT utt_id, {SYM} AS s FROM u) SELECT utt_id, md5(array_to_string(list_transform(s, lambda w, i: CASE WHEN i - 1 = utt_id % 7 THEN '/x' || utt_id % 7 || '/' ELSE w END), ' ')) AS rendered FROM s")
 def d10_hints(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = utterances(spark, sf_dir)
+    rows = texts(spark, sf_dir)
     hints = rows.select("utt_id", (F.col("utt_id") % 7).cast("int").alias("pos"), F.concat(F.lit("x"), (F.col("utt_id") % 7).cast("string")).alias("phones"))
     return lexicon.apply_hints(rows, hints).withColumn("rendered", F.md5("rendered"))
 
@@ -170,17 +170,17 @@ def e8_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("e9_ambiguity", LEX + " SELECT lang, count(*) AS symbols, round(avg((n_readings > 1)::INT), 6) AS ambiguous FROM lx GROUP BY lang")
 def e9_ambiguity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return textnorm.ambiguity(lexicon.build(utterances(spark, sf_dir))).withColumn("ambiguous", F.round("ambiguous", 6))
+    return textnorm.ambiguity(lexicon.build(texts(spark, sf_dir))).withColumn("ambiguous", F.round("ambiguous", 6))
 
 
-PROMPTS = f"WITH u AS ({UTT}), pr AS (SELECT u.utt_id, u.text, u.lang, d.source || '-' || u.lang AS speaker, CASE WHEN l.doc_id IS NULL THEN NULL WHEN toxic = 1 THEN 'angry' WHEN quality = 1 THEN 'happy' ELSE 'sad' END AS style FROM u JOIN documents d ON d.doc_id = u.utt_id LEFT JOIN labels l ON l.doc_id = u.utt_id)"
+PROMPTS = f"WITH u AS ({TEXTS}), pr AS (SELECT u.utt_id, u.text, u.lang, d.source || '-' || u.lang AS speaker, CASE WHEN l.doc_id IS NULL THEN NULL WHEN toxic = 1 THEN 'angry' WHEN quality = 1 THEN 'happy' ELSE 'sad' END AS style FROM u JOIN documents d ON d.doc_id = u.utt_id LEFT JOIN labels l ON l.doc_id = u.utt_id)"
 
 
 def prompts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """utt_id, text, lang, speaker (one language each), style (null where unlabelled)."""
     source = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("utt_id"), "source")
     labels = load(spark, sf_dir, "labels").select(F.col("doc_id").alias("utt_id"), "quality", "toxic")
-    rows = utterances(spark, sf_dir).join(source, "utt_id").join(labels, "utt_id", "left")
+    rows = texts(spark, sf_dir).join(source, "utt_id").join(labels, "utt_id", "left")
     style = F.when(F.col("quality").isNull() & F.col("toxic").isNull(), F.lit(None).cast("string")).when(F.col("toxic") == 1, "angry").when(F.col("quality") == 1, "happy").otherwise("sad")
     return rows.select("utt_id", "text", "lang", F.concat_ws("-", "source", "lang").alias("speaker"), style.alias("style"))
 
@@ -192,11 +192,11 @@ def f1_prompt(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _tag_sql() -> str:
     u = "(" + sql_draw("'tag'", "utt_id", "i - 1") + " % 100)"
-    return f"WITH u AS ({UTT}), tg AS (SELECT utt_id, text, array_to_string(list_transform(list_filter(regexp_split_to_array(trim(text), '\\s+'), lambda w: w <> ''), lambda w, i: CASE WHEN {u} < 5 THEN w || ' [laughter]' WHEN {u} < 10 THEN w || ' [breath]' WHEN {u} < 20 THEN '<strong>' || w || '</strong>' ELSE w END), ' ') AS tagged FROM u)"
+    return f"WITH u AS ({TEXTS}), tg AS (SELECT utt_id, text, array_to_string(list_transform(list_filter(regexp_split_to_array(trim(text), '\\s+'), lambda w: w <> ''), lambda w, i: CASE WHEN {u} < 5 THEN w || ' [laughter]' WHEN {u} < 10 THEN w || ' [breath]' WHEN {u} < 20 THEN '<strong>' || w || '</strong>' ELSE w END), ' ') AS tagged FROM u)"
 
 
 def tagged(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return utterances(spark, sf_dir).withColumn("tagged", instruct.inject(words(F.col("text")), F.col("utt_id")))
+    return texts(spark, sf_dir).withColumn("tagged", instruct.inject(words(F.col("text")), F.col("utt_id")))
 
 
 @query("f2_bursts", _tag_sql() + r" SELECT utt_id, len(regexp_extract_all(tagged, '\[laughter\]'))::INT AS laughter, len(regexp_extract_all(tagged, '\[breath\]'))::INT AS breath FROM tg")

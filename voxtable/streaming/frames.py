@@ -6,7 +6,6 @@ batch frame, which is how the queries compare a stream with batch SQL.
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -14,6 +13,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from voxtable.functions.shared import shared_folder
 from voxtable.operators.segment import MAX_LEN_S, SECOND
 from voxtable.schemas import COLUMNS
 from voxtable.sources.tables import micros
@@ -27,8 +27,7 @@ def events(spark: SparkSession, sf_dir: str, delay: str = "1 day") -> DataFrame:
 
 
 def _folder(spark: SparkSession) -> str:
-    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="voxtable-stream-")
-    return f"{base}/stream-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
 
 
 def finished(stream: DataFrame, mode: str = "complete") -> DataFrame:
