@@ -45,13 +45,10 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint in the shared folder: ends the lineage, survives lost executors."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """Written to the shared folder as a table and read again: ends the lineage, survives lost executors; later reads take the columns they need.
 
-
-def stored(df: DataFrame) -> DataFrame:
-    """As cut, as a Parquet table: later reads take the columns they need. No dictionaries: hashes and texts hardly repeat."""
+    One job: an eager checkpoint computes its last stage twice, once to count and once to write. No dictionaries: hashes and texts hardly repeat.
+    """
     out = f"{shared_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
     df.write.option("parquet.enable.dictionary", "false").option("compression", "zstd").parquet(out)
     return df.sparkSession.read.schema(df.schema).parquet(out)

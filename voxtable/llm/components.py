@@ -2,7 +2,7 @@
 
 Each round every node joins the neighbour (or itself) of lowest priority in that round's seeded order, edges are
 relabelled, loops and repeats go. Random priorities shrink paths and stars alike, so rounds grow with the logarithm of
-the nodes. All state is in checkpointed tables; the driver sees only whether edges are left. A forest whose parents are known needs no contraction: its
+the nodes. All state is in written tables; the driver sees only whether edges are left. A forest whose parents are known needs no contraction: its
 paths are halved.
 """
 

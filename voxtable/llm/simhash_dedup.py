@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, BooleanType, LongType, StructField, StructType
 
-from voxtable.llm.common import broadcast_if_small, columns_of, cut, stored, text_of
+from voxtable.llm.common import broadcast_if_small, columns_of, cut, text_of
 from voxtable.llm.components import component_roots, forest_roots
 from voxtable.llm.lanes import SMALL, met_pairs
 
@@ -288,7 +288,7 @@ def similar_groups(docs: DataFrame) -> DataFrame:
     equal. Each group keeps its row of the smallest doc_id (null last, then the first row); texts may have any length, rows may repeat.
     """
     rows = docs.select(F.struct(*columns_of(docs)).alias("all"), F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text"), F.monotonically_increasing_id().alias("at"))
-    rows = stored(rows.select("all", "doc_id", "at", _sketches("text").alias("s")).select("all", "doc_id", "at", "s.*"))
+    rows = cut(rows.select("all", "doc_id", "at", _sketches("text").alias("s")).select("all", "doc_id", "at", "s.*"))
     text = F.coalesce(F.col("all.text").cast("string"), F.lit(""))
     once = rows.select("k1", "k2", "at", "n", "sample", "lanes").groupBy("k1", "k2")
     sets = cut(once.agg(F.min("at").alias("id"), F.first("n").alias("n"), F.first("sample").alias("sample"), F.first("lanes").alias("lanes")))

@@ -32,6 +32,7 @@ STRIDE = 6  # from stretch to stretch: what lies within SPAN - STRIDE letters is
 BEGIN = "^"  # marks where a word begins; no word holds it
 TOXIC_LANDMARKS, PLAIN_LANDMARKS = 96, 48
 NEGATIVES = 12_000
+STEMS, STEM, KIN = (4, 5, 6), "*", 3  # lengths of beginnings that evidence is gathered for, their mark, landmarks of one beginning
 SURE = 3.0  # nats of evidence for a landmark, beyond those that the number of words asks for
 ROUNDS = 4
 PURE = 0.1  # most odds, against those of toxic documents, at which plain ones hold a toxic word
@@ -144,8 +145,9 @@ _SHARED: dict[int, tuple[dict[str, float], dict[str, float]]] = {}
 class Model:
     """Weights by subsequence, bias and logistic curve; scores words and texts."""
 
-    def __init__(self, table: np.ndarray, bias: float, slope: float, offset: float):
+    def __init__(self, table: np.ndarray, bias: float, slope: float, offset: float, nothing: float | None = None):
         self.table, self.bias, self.slope, self.offset = table, bias, slope, offset
+        self.nothing = bias if nothing is None else nothing  # value of a text without words
         key = hash((table.tobytes(), bias))
         if key not in _SHARED:
             _SHARED.clear()
@@ -153,7 +155,7 @@ class Model:
         self.bounds, self.exact = _SHARED[key]
 
     def __reduce__(self) -> tuple:
-        return Model, (self.table, self.bias, self.slope, self.offset)
+        return Model, (self.table, self.bias, self.slope, self.offset, self.nothing)
 
     def _each(self, words: list[str], value) -> list[float]:  # noqa: ANN001
         """The highest value among each word's stretches; value(stretches of n letters) gives theirs."""
@@ -184,7 +186,7 @@ class Model:
         return np.array(self._each(words, self._value))
 
     def values(self, texts: Iterable[str]) -> np.ndarray:
-        """The highest decision value among each text's words of three letters and more; the bias, which is that of no subsequence at all, without any."""
+        """The highest decision value among each text's words of three letters and more; the least known value without any."""
         out, some, size = [], [], 0
         for t in texts:
             some.append(t)
@@ -212,32 +214,51 @@ class Model:
             for i, ws in asked.items():
                 best[i] = max([best[i], *map(self.exact.__getitem__, ws)])
             todo = [i for i in todo if queues[i] and self.bounds[queues[i][-1]] > best[i]]
-        return np.where(np.isfinite(best), best, self.bias)
+        return np.where(np.isfinite(best), best, self.nothing)
 
     def scores(self, texts: Iterable[str]) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.values(texts) * self.slope + self.offset, -50, 50)))
 
 
+def keys_of(word: str) -> list[str]:
+    """A word, and its beginnings."""
+    return [word, *(word[:k] + STEM for k in STEMS if len(word) > k)]
+
+
 def fit(texts: list[str], toxic: list[int]) -> Model:
     """A model from labelled texts. Without both labels: one that scores every text by the share of toxic ones, nearly."""
     y = np.array(toxic)
     bags = [sorted({p for p in words_of(t) if 3 <= len(p) < SPAN}) for t in texts]
     if not len(y) or y.min() == y.max():
         return Model(np.zeros(1 << 15), 0.0, 0.0, 10.0 if len(y) and y.min() else -10.0)
+    # a fifth, chosen by its texts' hashes, is kept for the curve
+    kept = np.array([hash_of(t) % 5 == 0 for t in texts])
+    if min(y[kept].sum(), (1 - y[kept]).sum(), y[~kept].sum(), (1 - y[~kept]).sum()) < 5:
+        kept, learnt = np.ones(len(y), dtype=bool), np.ones(len(y), dtype=bool)  # too few for two parts
+    else:
+        learnt = ~kept
+    kept_texts, kept_y = [t for t, k in zip(texts, kept, strict=True) if k], y[kept]
+    bags, y = [b for b, k in zip(bags, learnt, strict=True) if k], y[learnt]
     yes, no = Counter(), Counter()
     for bag, t in zip(bags, y, strict=True):
-        (yes if t else no).update(bag)
+        (yes if t else no).update({key for w in bag for key in keys_of(w)})
     n_yes, n_no = int(y.sum()), int(len(y) - y.sum())
     base, most = n_yes / len(y), np.log(len(yes) + 1) + SURE
 
     def gain(w: str) -> float:
-        """Evidence, in nats, that the word is commoner in toxic documents."""
+        """Evidence, in nats, that the word, or what begins like it, is commoner in toxic documents."""
         n, k = yes[w] + no[w], yes[w]
         return k * np.log(k / n / base) + (no[w] * np.log(no[w] / n / (1 - base)) if no[w] else 0.0) if k / n > base else 0.0
 
-    hot = sorted((w for w in yes if gain(w) > most), key=lambda w: (-gain(w), w))
-    calm = sorted(no, key=lambda w: (-no[w], w))
-    hot = hot[:TOXIC_LANDMARKS] or sorted(yes, key=lambda w: (-gain(w), w))[:4]
+    # a word stands for the strongest of itself and its beginnings; of the words of one beginning, KIN
+    distinct = sorted(w for w in yes.keys() | no.keys() if not w.endswith(STEM))
+    told = {w: max((gain(k), k) for k in keys_of(w)) for w in distinct if yes[w]}
+    family: dict[str, list[str]] = {}
+    for w in sorted(told, key=lambda w: (-told[w][0], -yes[w], w)):
+        family.setdefault(told[w][1], []).append(w)
+    hot = [w for ws in family.values() for w in ws[:KIN] if told[w][0] > most]
+    calm = sorted((w for w in distinct if no[w]), key=lambda w: (-no[w], w))
+    hot = hot[:TOXIC_LANDMARKS] or sorted(told, key=lambda w: (-told[w][0], w))[:4]
     landmarks = [*hot, *[w for w in calm if w not in set(hot)][:PLAIN_LANDMARKS]]
     marked = lambda words: [BEGIN + w for w in words]
     marks = dense(marked(landmarks))
@@ -251,7 +272,6 @@ def fit(texts: list[str], toxic: list[int]) -> Model:
     x_no = mapped(plain)
     firm = [w for w in hot if no[w] * n_yes < PURE * yes[w] * n_no] or hot
     known, hard, model = set(firm), Counter(), None
-    distinct = sorted(yes.keys() | no.keys())
     for _ in range(ROUNDS):
         pos, neg = sorted(known), sorted(hard)
         x = np.vstack([mapped(pos), x_no, *([mapped(neg)] if neg else [])])
@@ -270,8 +290,14 @@ def fit(texts: list[str], toxic: list[int]) -> Model:
                     known.add(top)
                 elif not t and value[top] > WARNED:
                     hard[top] += 1
-    x1 = np.stack([model.values(texts), np.ones(len(y))], axis=1)
-    # logistic curve on the documents' values
+    calibrate(model, model.values(kept_texts), kept_y)
+    return model
+
+
+def calibrate(model: Model, values: np.ndarray, y: np.ndarray) -> None:
+    """A logistic curve through documents that the weights were not learnt from; at THRESHOLD stands the value that parts them best (F1)."""
+    n_yes, n_no = int(y.sum()), int(len(y) - y.sum())
+    x1 = np.stack([values, np.ones(len(y))], axis=1)
     t = np.where(y == 1, (n_yes + 1) / (n_yes + 2), 1 / (n_no + 2))
     ridge = np.array([1e-3, 1e-4])
     beta = np.array([1.0, 0.0])
@@ -280,8 +306,15 @@ def fit(texts: list[str], toxic: list[int]) -> Model:
         hess = (x1 * (p * (1 - p))[:, None]).T @ x1 + np.diag(ridge)
         step = np.linalg.solve(hess, x1.T @ (p - t) + ridge * beta)
         beta -= np.clip(step, -2, 2)
-    model.slope, model.offset = float(beta[0]), float(beta[1])
-    return model
+    model.slope = max(float(beta[0]), 1e-3)
+    model.nothing = float(min(model.bias, values.min()))
+    order = np.argsort(-values, kind="stable")
+    v, hit = values[order], np.cumsum(y[order])
+    f1 = 2 * hit / (np.arange(1, len(v) + 1) + n_yes)
+    f1[:-1][v[:-1] == v[1:]] = -1  # equal values fall on one side
+    best = int(np.argmax(f1))
+    at = (v[best] + v[best + 1]) / 2 if best + 1 < len(v) else v[best]
+    model.offset = float(np.log(THRESHOLD / (1 - THRESHOLD)) - model.slope * at)
 
 
 def hash_of(word: str) -> int:
@@ -308,7 +341,7 @@ def fit_on(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
 def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, held_out, score, predicted for every row: whole texts, nothing but the text.
 
-    Null and empty texts and texts without a word of three letters score as no subsequence does, by the bias. Rows that repeat a doc_id score each; null doc_id
+    Null and empty texts and texts without a word of three letters score as the least toxic text known. Rows that repeat a doc_id score each; null doc_id
     is not held out; an empty table gives an empty result; other columns are not read. Texts of any length are scored whole, in time by their length.
     """
 
