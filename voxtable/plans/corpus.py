@@ -194,6 +194,21 @@ def a3_medoid(spark: SparkSession, sf_dir: str) -> DataFrame:
     return consensus.select(consensus.transcribe(utterances(spark, sf_dir)), pick="medoid").select("utt_id", "system", F.round("error", 6).alias("error"))
 
 
+ORDERED = "CASE WHEN n = 0 OR m = 0 THEN NULL ELSE (d / n::DOUBLE + d / m::DOUBLE) / 2 END"
+
+
+@query("a3_ordered", _pairs_sql(ORDERED) + " SELECT utt_id, system, round(mean, 6) AS error FROM t JOIN m USING (utt_id) WHERE mean < 0.15")
+def a3_ordered(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Either system of a pair is the reference in turn."""
+    return consensus.select(consensus.transcribe(utterances(spark, sf_dir)), direction="ordered").select("utt_id", "system", F.round("error", 6).alias("error"))
+
+
+@query("a3_priority", _pairs_sql() + " SELECT utt_id, min(system) AS system, round(any_value(mean), 6) AS error FROM t JOIN m USING (utt_id) WHERE mean < 0.15 GROUP BY utt_id")
+def a3_priority(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Of the agreeing transcripts the first system's."""
+    return consensus.select(consensus.transcribe(utterances(spark, sf_dir)), pick="priority").select("utt_id", "system", F.round("error", 6).alias("error"))
+
+
 def sql_adjusted(text: str, key: str) -> str:
     gap = "(" + sql_draw("'gap'", key, "i - 1") + " % 600)"
     mark, bare = r"regexp_extract(w, '([,;:.?!]?)$', 1)", r"regexp_replace(w, '[,;:.?!]$', '')"

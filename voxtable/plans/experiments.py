@@ -128,14 +128,14 @@ PROBE = "SELECT '{name}' AS tokenizer, round(1 - sum(hit) / sum(n)::DOUBLE, 6) A
 VQ_SQL = f"SELECT label, {speech_tokens._nearest('embedding', speech_tokens.BOOK)} AS token FROM embeddings"
 
 
-@query("w9_quantisers", PROBE.format(name="scalar_a", tok=speech_tokens.tok_sql(VIEW_A)) + " UNION ALL " + PROBE.format(name="scalar_b", tok=speech_tokens.tok_sql(VIEW_B)) + " UNION ALL " + PROBE.format(name="vector", tok=VQ_SQL))
+@query("w9_quantisers", PROBE.format(name="scalar_a", tok=speech_tokens.tok_sql(VIEW_A)) + " UNION ALL " + PROBE.format(name="scalar_b", tok=speech_tokens.tok_sql(VIEW_B)) + " UNION ALL " + PROBE.format(name="vector", tok=VQ_SQL) + f" UNION ALL SELECT 'continuous', round(1 - accuracy, 6) FROM ({registry.ORACLES['b16_probe_centroid']})")
 def w9_quantisers(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Error of the label read off the token: scalar quantiser on two views, vector quantiser."""
+    """Error of the label read off the token: scalar quantiser on two views, vector quantiser; and off the vector itself, the upper bound."""
     rows = load(spark, sf_dir, "embeddings")
-    out = None
+    out = tokens.centroid_probe(rows, "label", "embedding").select(F.lit("continuous").alias("tokenizer"), F.round(1 - F.round("accuracy", 6), 6).alias("error"))
     for name, tok in (("scalar_a", fsq.tokenize(rows, VIEW_A)), ("scalar_b", fsq.tokenize(rows, VIEW_B)), ("vector", vq.assign(rows, speech_tokens.BOOK).withColumnRenamed("code", "token"))):
         one = tokens.majority_probe(tok, "token", "label").select(F.lit(name).alias("tokenizer"), F.round(1 - F.col("accuracy"), 6).alias("error"))
-        out = one if out is None else out.unionAll(one)
+        out = out.unionAll(one)
     return out
 
 

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from voxtable.functions.hashing import sql_draw, sql_uniform
-from voxtable.functions.units import sql_char_edits, sql_word_edits, sql_words, words
+from voxtable.functions.units import sql_char_edits, sql_word_edits, sql_words, unit_of, word_edits, words
 from voxtable.functions.vectors import cosine
 from voxtable.operators import bench_sets, consensus, err, judged, metrics
 from voxtable.operators.tokens import centroids
@@ -193,6 +193,38 @@ def i19_bootstrap(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _r(err.bootstrap(_scored(spark, sf_dir), "system", "utt_id", 20))
 
 
+@query("i19_interval", SCORED + f", u AS (SELECT system, edits, n_ref, b, {sql_uniform(chr(39) + 'boot' + chr(39), 'utt_id', 'b')} AS u FROM sc, range(1, 201) AS r(b)), x AS (SELECT system, b, sum(({W}) * edits) / sum(({W}) * n_ref)::DOUBLE AS micro FROM u GROUP BY system, b) SELECT system, round(quantile_cont(micro, 0.025), 6) AS low, round(quantile_cont(micro, 0.975), 6) AS high FROM x GROUP BY system")
+def i19_interval(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bounds that hold 95 % of 200 replicates: a system's replicates are few, whatever the corpus."""
+    reps = err.bootstrap(_scored(spark, sf_dir), "system", "utt_id", 200)
+    return _r(reps.groupBy("system").agg(F.percentile("micro", F.lit(0.025)).alias("low"), F.percentile("micro", F.lit(0.975)).alias("high")))
+
+
+@query("i19_sign_test", SCORED + " SELECT a.system AS s1, b.system AS s2, count(*) FILTER (WHERE a.edits < b.edits) AS wins, count(*) FILTER (WHERE a.edits > b.edits) AS losses, round((count(*) FILTER (WHERE a.edits < b.edits) - count(*) FILTER (WHERE a.edits > b.edits)) / sqrt(nullif(count(*) FILTER (WHERE a.edits <> b.edits), 0)::DOUBLE), 6) AS z FROM sc a JOIN sc b ON a.utt_id = b.utt_id AND a.system < b.system GROUP BY 1, 2")
+def i19_sign_test(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Paired by utterance: how often either system has fewer errors, ties left out, and the normal score of the difference."""
+    rows = _scored(spark, sf_dir).groupBy("utt_id").agg(F.array_sort(F.collect_list(F.struct("system", "edits"))).alias("ss"))
+    pairs = F.flatten(F.transform("ss", lambda a: F.transform(F.filter(F.col("ss"), lambda b: b["system"] > a["system"]), lambda b: F.struct(a["system"].alias("s1"), b["system"].alias("s2"), (a["edits"] - b["edits"]).alias("d")))))
+    by = rows.select(F.explode(pairs).alias("p")).select("p.*").groupBy("s1", "s2").agg(F.count_if(F.col("d") < 0).alias("wins"), F.count_if(F.col("d") > 0).alias("losses"))
+    return _r(by.withColumn("z", F.try_divide(F.col("wins") - F.col("losses"), F.sqrt((F.col("wins") + F.col("losses")).cast("double")))))
+
+
+@query("i2a_units", f"WITH t AS ({HEARD}), l AS (SELECT *, CASE WHEN utt_id % 2 = 0 THEN 'zh' ELSE 'en' END AS tongue FROM t) SELECT utt_id, system, tongue, CASE WHEN tongue = 'zh' THEN {sql_char_edits('ref', 'hyp')} ELSE {sql_word_edits('ref', 'hyp')} END::BIGINT AS edits, CASE WHEN tongue = 'zh' THEN length(ref) ELSE len({sql_words('ref')}) END::BIGINT AS n_ref FROM l")
+def i2a_units(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Characters are the unit of some languages, words of the others."""
+    tongue = F.when(F.col("utt_id") % 2 == 0, "zh").otherwise("en")
+    return err.scored(heard(spark, sf_dir).withColumn("tongue", tongue), unit_of(F.col("tongue"))).select("utt_id", "system", "tongue", "edits", "n_ref")
+
+
+@query("consensus_pairs", f"WITH t AS ({HEARD}) SELECT a.utt_id, a.system AS s1, b.system AS s2, {sql_word_edits('a.hyp', 'b.hyp')}::BIGINT AS edits FROM t a JOIN t b ON a.utt_id = b.utt_id AND a.system < b.system")
+def consensus_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The pairs of an utterance's transcripts by a self-join, as the array form of agreement has them without one."""
+    rows = heard(spark, sf_dir)
+    a, b = rows.alias("a"), rows.alias("b")
+    both = a.join(b, (F.col("a.utt_id") == F.col("b.utt_id")) & (F.col("a.system") < F.col("b.system")))
+    return both.select("a.utt_id", F.col("a.system").alias("s1"), F.col("b.system").alias("s2"), word_edits(F.col("a.hyp"), F.col("b.hyp")).cast("long").alias("edits"))
+
+
 @query("i20_bound", P + " SELECT count(value) AS n, count(*) FILTER (WHERE value < 4) AS n_below, coalesce(bool_and(value < 4), true) AS all_below FROM cells WHERE tbl = 'multilingual' AND model = 'new_s+ro'")
 def i20_bound(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.below(published.cells(spark).filter("tbl = 'multilingual' AND model = 'new_s+ro'"), 4.0)

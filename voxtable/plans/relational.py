@@ -7,6 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from voxtable.functions.hashing import draw, sql_draw
 from voxtable.functions.shared import shared_folder
 from voxtable.registry import query
 from voxtable.sources.tables import load, micros
@@ -368,6 +369,20 @@ def rel_promo_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _r(j.agg((100 * F.sum(F.when(F.col("p_type") == "PROMO", F.col("l_extendedprice")).otherwise(0.0)) / F.sum("l_extendedprice")).alias("share")))
 
 
+@query("rel_discount_sum", "SELECT round(sum(l_extendedprice * l_discount), 2) AS revenue FROM lineitem WHERE l_discount BETWEEN 0.05 AND 0.07 AND l_quantity < 24")
+def rel_discount_sum(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = load(spark, sf_dir, "lineitem").filter("l_discount BETWEEN 0.05D AND 0.07D AND l_quantity < 24")
+    return _r(rows.agg(F.sum(F.col("l_extendedprice") * F.col("l_discount")).alias("revenue")), 2)
+
+
+@query("sample_strat", "SELECT doc_id, lang FROM (SELECT doc_id, lang, " + sql_draw("'strat'", "doc_id") + " % 100 AS u FROM documents) WHERE u < CASE lang WHEN 'en' THEN 10 WHEN 'de' THEN 20 ELSE 40 END")
+def sample_strat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A hashed share of each language: the same rows on every run, without a shuffle."""
+    docs = load(spark, sf_dir, "documents").select("doc_id", "lang")
+    share = F.when(F.col("lang") == "en", 10).when(F.col("lang") == "de", 20).otherwise(40)
+    return docs.filter(F.pmod(draw("strat", F.col("doc_id")), F.lit(100)) < share)
+
+
 @query("rel_top_orders", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20")
 def rel_top_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(20)

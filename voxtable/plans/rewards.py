@@ -102,6 +102,27 @@ def c7_multi_reward(spark: SparkSession, sf_dir: str) -> DataFrame:
     return r.select("doc_id", F.round(F.col("rewards")["quality"], 6).alias("quality"), F.round(F.col("rewards")["safety"], 6).alias("safety"), F.round("reward", 6).alias("reward"))
 
 
+@query("c7a_emotion_only", "SELECT doc_id, round(ln(0.1::DOUBLE + 0.8::DOUBLE * quality), 6) AS reward FROM labels")
+def c7a_emotion_only(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The variant with one task."""
+    return reward.multi(load(spark, sf_dir, "labels"), {"emotion": MTR["quality"]}).select("doc_id", F.round("reward", 6).alias("reward"))
+
+
+@query(
+    "c7b_speaker_task",
+    """WITH e AS (SELECT vec_id, label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS pos FROM embeddings), m AS (SELECT label, pos, avg(x) AS m FROM e GROUP BY 1, 2),
+    s AS (SELECT vec_id, e.label, sum(x * m) / (sqrt(sum(x * x)) * sqrt(sum(m * m))) AS c FROM e JOIN m ON e.label = m.label AND e.pos = m.pos GROUP BY 1, 2) SELECT vec_id, round(ln((1 + c) / 2), 5) AS speaker, round(ln((1 + c) / 2) + ln(CASE WHEN label % 2 = 0 THEN 0.9::DOUBLE ELSE 0.1::DOUBLE END), 5) AS reward FROM s""",
+)
+def c7b_speaker_task(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Nearness to the speaker's centre as one more task, beside another attribute's posterior."""
+    from voxtable.functions.vectors import cosine
+
+    rows = load(spark, sf_dir, "embeddings")
+    near = rows.join(tokens.centroids(rows, "label", "embedding"), "label").withColumn("c", cosine(F.col("embedding"), F.col("centre")))
+    r = reward.multi(near, {"speaker": "ln((1 + c) / 2)", "other": "ln(CASE WHEN label % 2 = 0 THEN 0.9D ELSE 0.1D END)"})
+    return r.select("vec_id", F.round(F.col("rewards")["speaker"], 5).alias("speaker"), F.round("reward", 5).alias("reward"))
+
+
 @query("c8_token_kl", FULL + ", p AS (SELECT ctx, k, exp(2 * x) / sum(exp(2 * x)) OVER (PARTITION BY ctx) AS p, exp(x) / sum(exp(x)) OVER (PARTITION BY ctx) AS q FROM lo) SELECT ctx, round(sum(p * ln(p / q)), 6) AS kl FROM p GROUP BY ctx")
 def c8_token_kl(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Divergence of the sharpened policy from the policy itself, by context."""

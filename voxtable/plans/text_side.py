@@ -269,6 +269,15 @@ def f11_sft(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.count("speaker").alias("with_speaker"), F.count("style").alias("with_style"))
 
 
+@query("f14_growth", "WITH h AS (SELECT n_chars / 54000.0::DOUBLE AS hours, quality FROM documents JOIN labels USING (doc_id)) SELECT 'before' AS stage, round(sum(hours) FILTER (WHERE quality = 1), 6) AS hours, 1.0::DOUBLE AS growth FROM h UNION ALL SELECT 'after', round(sum(hours), 6), round(sum(hours) / sum(hours) FILTER (WHERE quality = 1), 6) FROM h")
+def f14_growth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Hours of instructed speech before and after the set grew, and the factor."""
+    rows = load(spark, sf_dir, "documents").select("doc_id", (F.col("n_chars") / 54000.0).alias("hours")).join(load(spark, sf_dir, "labels").select("doc_id", "quality"), "doc_id")
+    sums = rows.agg(F.sum(F.when(F.col("quality") == 1, F.col("hours"))).alias("b"), F.sum("hours").alias("a"))
+    stages = F.array(F.struct(F.lit("before").alias("stage"), F.round("b", 6).alias("hours"), F.lit(1.0).alias("growth")), F.struct(F.lit("after").alias("stage"), F.round("a", 6).alias("hours"), F.round(F.col("a") / F.col("b"), 6).alias("growth")))
+    return sums.select(F.explode(stages).alias("s")).select("s.*")
+
+
 @query("f12_center_k1", "WITH e AS (SELECT label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS pos FROM embeddings), m AS (SELECT label, pos, avg(x) AS m FROM e GROUP BY 1, 2) SELECT label, round(sum(m), 5) AS total, round(sum(m * pos), 4) AS moment FROM m GROUP BY label")
 def f12_center_k1(spark: SparkSession, sf_dir: str) -> DataFrame:
     c = centroids(load(spark, sf_dir, "embeddings"), "label", "embedding").select("label", F.posexplode("centre").alias("p", "m"))
