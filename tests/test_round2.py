@@ -2,6 +2,8 @@
 
 import os
 import shutil
+import tempfile
+from pathlib import Path
 
 from pyspark.sql import functions as F
 
@@ -30,3 +32,16 @@ def test_math_suite_of_nothing_and_of_less(spark, sf_dir, tmp_path):
     odd = e.withColumn("value", F.when(F.col("event_id") % 4 == 0, F.lit(0.0)).when(F.col("event_id") % 4 == 1, -F.col("value")).when(F.col("event_id") % 4 == 2, F.col("value")))
     folder = _tables(tmp_path, spark, events=odd.withColumn("user_id", -F.col("user_id")))
     _same(spark, folder, "math_suite")
+
+
+def _reads(spark, sf_dir, name, *tables):
+    """The query's rows are SQL's, and they change with the table: without its rows nothing is left."""
+    same(spark, sf_dir, registry.QUERIES[name], registry.ORACLES[name])
+    assert registry.QUERIES[name](spark, sf_dir).count() > 0
+    with tempfile.TemporaryDirectory() as folder:
+        empty = _tables(Path(folder), spark, **{t: spark.read.parquet(f"{sf_dir}/{t}.parquet").limit(0) for t in tables})
+        assert registry.QUERIES[name](spark, empty).count() == 0
+
+
+def test_cte_recursive_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "cte_recursive", "lineitem")
