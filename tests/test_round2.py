@@ -45,3 +45,7 @@ def _reads(spark, sf_dir, name, *tables):
 
 def test_cte_recursive_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "cte_recursive", "lineitem")
+
+
+def test_g10_lineage_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "g10_lineage", "region", "nation", "customer", "orders")
