@@ -49,3 +49,7 @@ def test_cte_recursive_reads_a_table(spark, sf_dir):
 
 def test_g10_lineage_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "g10_lineage", "region", "nation", "customer", "orders")
+
+
+def test_g13_tokenizer_hours_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "g13_tokenizer_hours", "documents")
