@@ -53,3 +53,7 @@ def test_g10_lineage_reads_a_table(spark, sf_dir):
 
 def test_g13_tokenizer_hours_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "g13_tokenizer_hours", "documents")
+
+
+def test_g8_models_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "g8_models", "documents")
