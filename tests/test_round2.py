@@ -57,3 +57,7 @@ def test_g13_tokenizer_hours_reads_a_table(spark, sf_dir):
 
 def test_g8_models_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "g8_models", "documents")
+
+
+def test_i12_correction_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "i12_correction", "documents")
