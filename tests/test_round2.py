@@ -61,3 +61,7 @@ def test_g8_models_reads_a_table(spark, sf_dir):
 
 def test_i12_correction_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "i12_correction", "documents")
+
+
+def test_i13_relative_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "i13_relative", "documents")
