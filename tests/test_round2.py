@@ -65,3 +65,7 @@ def test_i12_correction_reads_a_table(spark, sf_dir):
 
 def test_i13_relative_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "i13_relative", "documents")
+
+
+def test_i14_podium_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "i14_podium", "documents")
