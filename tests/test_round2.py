@@ -73,3 +73,7 @@ def test_i14_podium_reads_a_table(spark, sf_dir):
 
 def test_i15_fill_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "i15_fill", "documents")
+
+
+def test_i16_table_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "i16_table", "documents")
