@@ -77,3 +77,7 @@ def test_i15_fill_reads_a_table(spark, sf_dir):
 
 def test_i16_table_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "i16_table", "documents")
+
+
+def test_i17_size_gap_reads_a_table(spark, sf_dir):
+    _reads(spark, sf_dir, "i17_size_gap", "documents")
