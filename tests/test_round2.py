@@ -81,3 +81,18 @@ def test_i16_table_reads_a_table(spark, sf_dir):
 
 def test_i17_size_gap_reads_a_table(spark, sf_dir):
     _reads(spark, sf_dir, "i17_size_gap", "documents")
+
+
+def test_scored_words_are_the_transcripts_errors(spark, sf_dir):
+    """Against every transcript and the engine's distance, longer texts, blanks, odd languages and keys too; no system's transcripts are made twice."""
+    from voxtable.operators import err, surrogate
+    from voxtable.plans import experiments
+    from voxtable.plans.corpus import utterances
+
+    odd = spark.createDataFrame([(None, "a b c", "en"), (7, None, "en"), (8, "", "fr"), (9, "x\u00a0y \t z " * 90, None), (10, "aba ab", "xx")], "utt_id bigint, text string, lang string")
+    rows = odd.unionAll(utterances(spark, sf_dir).select("utt_id", "text", "lang").limit(300))
+    said = err.scored(surrogate.transcripts(rows, experiments.MULTI, "lang").filter("hyp IS NOT NULL"), F.lit("word"))
+    by = lambda df: {(r["system"], r["lang"]): (r["e"], r["n"]) for r in df.filter("edits IS NOT NULL").groupBy("system", "lang").agg(F.sum("edits").alias("e"), F.sum("n_ref").alias("n")).collect()}
+    assert by(surrogate.scored_words(rows, experiments.MULTI, "lang", experiments.LANGS)) == by(said.filter(F.col("lang").isin(*experiments.LANGS)))
+    plan = experiments.w1_overview(spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
+    assert "md5" not in plan and plan.count("ArrowEvalPython") == 1

@@ -36,11 +36,9 @@ def _error_table(rows: str, systems: list[str], cols: list[str], col: str = "lan
 
 def _error_pivot(rows: DataFrame, systems: list[str], cols: list[str], col: str = "lang") -> DataFrame:
     """system x column matrix of micro word error in percent; null where nothing is supported."""
-    heard = surrogate.transcripts(rows, systems, *dict.fromkeys(["lang", col]))
-    scored = err.scored(heard.filter("hyp IS NOT NULL"), F.lit("word"))
+    scored = surrogate.scored_words(rows, systems, col, cols)
     rates = scored.groupBy("system", col).agg((100.0 * F.try_divide(F.sum("edits"), F.sum("n_ref"))).alias("rate"))
-    every = heard.select("system").distinct()
-    return _r(every.join(rates.groupBy("system").pivot(col, cols).agg(F.first("rate")), "system", "left"), 4)
+    return _r(rates.groupBy("system").pivot(col, cols).agg(F.first("rate")), 4)
 
 
 T4 = [s for s in surrogate.SYSTEMS if s not in ("gen2+ro",)]
