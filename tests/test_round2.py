@@ -106,3 +106,15 @@ def test_switches_hear_the_texts_once(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(corpus, "stored", lambda df: made.append(1) or real(df))
     corpus.a8_switches(spark, sf_dir)
     assert len(made) == 1
+
+
+def test_long_credentials_are_found_whole():
+    import hashlib
+
+    from voxtable.llm import secret_grammar
+
+    letters = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    body = "".join(letters[b % 62] for k in range(24) for b in hashlib.sha256(b"%d" % k).digest())
+    token = f"eyJ{body[:30]}.eyJ{body[30:630]}.{body[630:673]}"
+    found = secret_grammar.scan_batch(secret_grammar.Grammar(), [f"see {token} end"])
+    assert found["spans"][0] == f"learned:4:{4 + len(token)}"

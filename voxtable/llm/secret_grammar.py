@@ -212,8 +212,8 @@ class Grammar:
         self.plain = Pairs(negatives or ordinary())
         self.threshold = threshold
         sizes = [len(s) for strings in examples.values() for s in strings]
-        #: no format has shorter or, as learnt, longer credentials
-        self.least, self.most = min(sizes), 2 * max(sizes)
+        #: no format has shorter credentials; what the automata loop over may be longer than any example
+        self.least = min(sizes)
         self.runs = re.compile(f"[{RUN}]{{{self.least},}}")
 
     def likelihood(self, token: str) -> float:
@@ -228,9 +228,8 @@ class Grammar:
         """
         live = [(a, 0, 0.0) for a in self.formats.values()]
         plain, before, best, at = 0.0, "^", None, begin
-        stop = begin + self.most
         for end in ends:
-            if end > stop or not live:
+            if not live:
                 break
             while at < end:
                 c = run[at]
