@@ -65,3 +65,33 @@ def test_near_copies_by_five_word_similarity(spark):
     docs = spark.createDataFrame([(i, t, None, None, 0) for i, t in enumerate(texts)], "doc_id bigint, text string, lang string, source string, n_chars int")
     kept = {r["doc_id"] for r in corpus_pipeline.near_dedup_stage(spark, docs, "").collect()}
     assert kept == set(best) and 90 <= len(kept) < len(texts) - 40
+
+
+def test_a_common_passage_lists_no_pairs(spark, monkeypatch):
+    """200 texts that have half of their shingles in common make hardly any pairs; the near copies among them are found; a group of near copies merges under its centre."""
+    rnd = random.Random(9)
+    word = lambda: "".join(rnd.choice("abcdefghij") for _ in range(6))
+    passage = " ".join(word() for _ in range(60))
+    texts = [" ".join([*(word() for _ in range(50)), passage]) for _ in range(200)]
+    texts += [t.replace(t.split()[20], "other") for t in texts[:10]]
+    centre = [word() for _ in range(120)]
+    texts += [" ".join(centre)] + [" ".join(word() if i in changed else w for i, w in enumerate(centre)) for changed in (rnd.sample(range(120), 1 + n % 6) for n in range(90))]
+    compared = []
+    connected = simhash_dedup.connected
+
+    def counted(met, linked, *args, **named):
+        def link(pairs):
+            compared.append(pairs.count())
+            return linked(pairs)
+
+        return connected(met, link, *args, **named)
+
+    monkeypatch.setattr(simhash_dedup, "connected", counted)
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, texts)]
+    best = list(range(len(texts)))
+    near = [[j for j, y in enumerate(sets) if len(x & y) >= 0.8 * len(x | y)] for x in sets]
+    for _ in texts:
+        best = [min(best[j] for j in near[i]) for i in range(len(sets))]
+    docs = spark.createDataFrame([(i, t, None, None, 0) for i, t in enumerate(texts)], "doc_id bigint, text string, lang string, source string, n_chars int")
+    assert {r["doc_id"] for r in simhash_dedup.drop_similar(docs).collect()} == set(best)
+    assert 0 < sum(compared) < 1000
