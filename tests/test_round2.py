@@ -118,3 +118,22 @@ def test_long_credentials_are_found_whole():
     token = f"eyJ{body[:30]}.eyJ{body[30:630]}.{body[630:673]}"
     found = secret_grammar.scan_batch(secret_grammar.Grammar(), [f"see {token} end"])
     assert found["spans"][0] == f"learned:4:{4 + len(token)}"
+
+
+def test_steps_over_arrays_equal_the_engines(spark, sf_dir):
+    """Transcripts and pauses drawn over arrays, odd texts and keys too; the corpus steps draw no md5 in the engine."""
+    from voxtable.operators import consensus, punct
+    from voxtable.plans import corpus
+
+    odd = [(None, "a b, c"), (7, None), (8, ""), (9, "x y, \t z! " * 90), (10, " ab,\u0085 c  d.  ,, e "), (11, "été \U0001f600, " * 30), (12, "\n")]
+    rows = spark.createDataFrame([(k, t, "en") for k, t in odd], "utt_id bigint, text string, lang string")
+    rows = rows.unionAll(corpus.utterances(spark, sf_dir).select("utt_id", "text", "lang").limit(300))
+    as_sql = consensus.transcribe(rows).groupBy("utt_id").agg(F.array_sort(F.collect_list(F.struct("system", "hyp"))).alias("ts"))
+    by = lambda df, col: {r["utt_id"]: r[col] for r in df.collect()}
+    assert by(consensus.transcribe_together(rows), "ts") == by(as_sql, "ts")
+    assert by(punct.adjust_together(rows), "text") == by(punct.adjust(rows), "text")
+    assert by(consensus.select(consensus.transcribe_together(rows), pick="medoid", keep=("lang",)).filter("error IS NOT NULL"), "hyp") == by(consensus.select(consensus.transcribe(rows), pick="medoid"), "hyp")
+    steps = corpus.run(rows)
+    assert not any("md5" in steps[s]._jdf.queryExecution().executedPlan().toString() for s in steps)
+    twice = corpus.run(rows.limit(50).unionAll(rows.limit(50)), ("asr",))["asr"]
+    assert twice.groupBy("utt_id").count().filter("count <> 2").isEmpty()

@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from hashlib import md5
 
 import numpy as np
+import pandas as pd
 
 #: md5's sines and rotations (RFC 1321).
 _SINES = [np.uint32(int(abs(np.sin(i + 1)) * 2**32)) for i in range(64)]
 _TURNS = [(7, 12, 17, 22), (5, 9, 14, 20), (4, 11, 16, 23), (6, 10, 15, 21)]
 _AT_ONCE = 16_384  # messages whose state stays in the cache
 _ROOM = 55  # bytes of a message of one block
+_TOGETHER = 500  # texts whose words are drawn at once
 
 
 def _first_words(blocks: np.ndarray) -> np.ndarray:
@@ -64,3 +67,14 @@ def numbered_draws(prefixes: list[bytes], counts: np.ndarray) -> np.ndarray:
         blocks[:, 56:58] = (8 * end).astype("<u2").view(np.uint8).reshape(-1, 2)
         out[at : at + _AT_ONCE] = _first_words(blocks.view("<u4"))
     return out
+
+
+def drawn_together(texts: pd.Series, keys: pd.Series, seeds: list[bytes]) -> Iterator[list[tuple[list[bytes] | None, list[np.ndarray]]]]:
+    """Some texts at a time: a text's words, and for each seed their draws by seed, key and place; no words and no draws for a null text. A null key is left out, as in SQL."""
+    for at in range(0, len(texts), _TOGETHER):
+        words = [None if t is None else t.encode("utf-8", "surrogatepass").split() for t in texts.iloc[at : at + _TOGETHER]]
+        own = [b"" if k is None else k.encode() + b"|" for k in keys.iloc[at : at + _TOGETHER]]
+        prefixes = [s + b"|" + k for k, ws in zip(own, words, strict=True) if ws is not None for s in seeds]
+        counts = np.array([len(ws) for ws in words if ws is not None for _ in seeds], dtype=np.int64)
+        drawn = iter(np.split(numbered_draws(prefixes, counts), np.cumsum(counts)[:-1])) if prefixes else iter(())
+        yield [(ws, [] if ws is None else [next(drawn) for _ in seeds]) for ws in words]
